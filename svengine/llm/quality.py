@@ -104,17 +104,17 @@ def train(docs: DataFrame, labels: DataFrame, held: int | None = None) -> dict:
     return fit(x, rows["label"].to_numpy())
 
 
-def score(docs: DataFrame, model: dict) -> DataFrame:
-    """docs with score and predicted (null texts as empty); earlier columns of these names are replaced."""
-    kept = [c for c in docs.columns if c.lower() not in ("score", "predicted")]
+def score(docs: DataFrame, model: dict, names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """docs with two more columns: the score and whether it is at least one half. Earlier columns of these names are replaced."""
+    kept = [c for c in docs.columns if c.lower() not in names]
     at = kept.index("text")
-    schema = docs.select(*kept).withColumns({"score": F.lit(0.0), "predicted": F.lit(0)}).schema
+    schema = docs.select(*kept).withColumns({names[0]: F.lit(0.0), names[1]: F.lit(0)}).schema
 
     def run(batches):
         for b in batches:
             x = np.array([features(t.as_py()) for t in b.column(at)], float).reshape(-1, len(FEATURES))
             s = _sigmoid((((x - model["mean"]) * model["weights"]).sum(1) - model["cut"]) * model["slope"])
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s), pa.array((s >= 0.5).astype("int32"))], [*kept, "score", "predicted"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s), pa.array((s >= 0.5).astype("int32"))], [*kept, *names])
 
     return docs.select(*kept).mapInArrow(run, schema)
 
