@@ -19,7 +19,8 @@ from pyspark.sql import functions as F
 from . import common
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-PROVIDER = "spark.sql.streaming.stateStore.providerClass"
+#: Settings of the stream: RocksDB, which reserves 4 MB of disk for each partition's log unless told not to.
+SETTINGS = {"spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false"}
 #: Files of the digest table that one micro-batch takes.
 BATCH_FILES = 256
 #: A table of this many (long, long, int) rows at most is broadcast: 24 MB.
@@ -36,8 +37,9 @@ def keep_state(digests: DataFrame, batch_files: int = BATCH_FILES) -> DataFrame:
     """digest, keep_id, group_size: the state after the whole stream. digests is a written table of digest, doc_id."""
     spark = digests.sparkSession
     folder = common.shared_folder(spark, "dedup-stream")
-    before = spark.conf.get(PROVIDER)
-    spark.conf.set(PROVIDER, ROCKS)
+    before = {k: spark.conf.get(k, None) for k in SETTINGS}
+    for k, v in SETTINGS.items():
+        spark.conf.set(k, v)
     try:
         stream = spark.readStream.schema(digests.schema).option("maxFilesPerTrigger", batch_files).parquet(digests.shared_path)
         state = stream.groupBy("digest").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
@@ -46,7 +48,8 @@ def keep_state(digests: DataFrame, batch_files: int = BATCH_FILES) -> DataFrame:
         query = state.writeStream.outputMode("update").foreachBatch(sink).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
         query.awaitTermination()
     finally:
-        spark.conf.set(PROVIDER, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     schema = "digest binary, keep_id long, group_size long"
     if query.lastProgress is None:  # no file, no batch
         return spark.createDataFrame([], schema)
