@@ -5,9 +5,9 @@ Words are lower-cased and split at ASCII white space; a shingle is WORDS words (
 CELLS hashed cells, whose size doesn't grow. ALPHA is small on purpose: in a large group of near copies the shared shingles are frequent and the
 differing ones rare, and full idf weights would hide such copies.
 
-Each document gets BANDS * ROWS improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
+Each document gets SAMPLES improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
 folded first, so buckets hold different texts only. Within a bucket pairs aren't listed: each member is compared with one centre, those that fail with
-the next, and so on, while the pairs between unconnected members would be many; then the pairs of different components that
+a few more, and so on, while the pairs between unconnected members would be many; then the pairs of different components that
 share a bucket are compared exactly. So every pair in a bucket is either compared or already in one class. Classes are connected components,
 found by distributed label propagation. A centre's text is replicated for every SALT members, so no task holds a large group.
 
@@ -31,8 +31,10 @@ from . import common
 WORDS, SIMILARITY = 5, 0.8
 ALPHA = 0.1
 CELLS, BLOCKS = 1 << 20, 64
-#: A pair of similarity 0.8 shares none of 14 bands of 3 rows with a probability of 4e-5.
-BANDS, ROWS = 14, 3
+#: Samples, and bands of ROWS of them: SHUFFLES orders of the samples are each cut into bands. A pair of similarity 0.8 has about 34
+#: equal samples and shares no band with a probability below 1e-3; one of 0.2 shares one with a probability of 1 %.
+SAMPLES, ROWS, SHUFFLES = 42, 5, 5
+BANDS = SHUFFLES * (SAMPLES // ROWS)
 POOL_BITS = 16
 SALT = 256
 #: Shingles that are sampled at once, which bounds a worker's memory for very long texts.
@@ -41,6 +43,8 @@ STEP = 8192
 BROADCAST_ROWS = 1_000_000
 #: Pairs of different components, for each row of the buckets, that are compared without another round of centres.
 CROSS = 4
+#: Centres of a bucket in a round, times those of the round before.
+MORE_CENTRES = 4
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -124,13 +128,14 @@ def _draws(seed: int = 11):
     r = rng.gamma(2.0, 1.0, n).astype(np.float32) + np.float32(1e-6)
     ln_c = np.log(rng.gamma(2.0, 1.0, n)).astype(np.float32)
     beta = rng.random(n).astype(np.float32)
-    odd = rng.integers(0, 1 << 63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-    return r, ln_c, beta, odd
+    odd = rng.integers(0, 1 << 63, SAMPLES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    bands = np.concatenate([rng.permutation(SAMPLES)[: SAMPLES // ROWS * ROWS].reshape(-1, ROWS) for _ in range(SHUFFLES)])
+    return r, ln_c, beta, odd, bands
 
 
 def samples(h: np.ndarray, w: np.ndarray) -> np.ndarray:
     """For each sample the chosen shingle and its level, mixed into 64 bits: equal with the probability of the weighted Jaccard similarity."""
-    r_, c_, b_, odd = _draws()
+    r_, c_, b_, odd, _ = _draws()
     best = np.full(len(odd), np.inf, np.float32)
     out = np.zeros(len(odd), np.uint64)
     for at in range(0, len(h), STEP):
@@ -151,7 +156,7 @@ def samples(h: np.ndarray, w: np.ndarray) -> np.ndarray:
 
 
 def band_keys(h: np.ndarray, w: np.ndarray) -> np.ndarray:
-    s = samples(h, w).reshape(BANDS, ROWS)
+    s = samples(h, w)[_draws()[4]]
     key = np.arange(1, BANDS + 1, dtype=np.uint64) * _MIX
     for k in range(ROWS):
         key = _mixed(key * _MIX + s[:, k])
@@ -236,8 +241,10 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     left, many = buckets, buckets.count()
     done = spark.createDataFrame([], "a long, b long, similarity double")
     links = labels = None
+    centres = 1
     while many:
-        centre = left.groupBy("key").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+        centre = left.groupBy("key", F.pmod(F.xxhash64("id", F.lit(centres)), F.lit(centres)).alias("turn")).agg(F.min("id").alias("a")).drop("turn")
+        centres *= MORE_CENTRES
         tried = left.join(centre, "key").where("id <> a")
         new = _ordered(tried.select("a", F.col("id").alias("b"))).join(done, ["a", "b"], "left_anti")
         found = verified(texts, new, idf)
@@ -247,8 +254,10 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
             labels = spark.createDataFrame([], "id long, label long")
         else:
             labels = components(links)
-        seen = done.select("a", F.col("b").alias("id"), "similarity")
-        left = common.written(tried.join(seen, ["a", "id"]).where(F.col("similarity") < similarity).select("key", "id"), "neardup-left")
+        # what is near none of its centres, and no centre itself, goes on
+        near = links.select("a", F.col("b").alias("id")).union(links.select(F.col("b").alias("a"), F.col("a").alias("id")))
+        placed = tried.join(near, ["a", "id"], "left_semi").select("key", "id").union(centre.select("key", F.col("a").alias("id"))).distinct()
+        left = common.written(left.join(placed, ["key", "id"], "left_anti"), "neardup-left")
         in_bucket = buckets.join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("part"))
         sizes = in_bucket.groupBy("key", "part").agg(F.count(F.lit(1)).alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("same"))
         cross = sizes.agg(F.sum((F.col("n") * F.col("n") - F.col("same")) / 2)).first()[0] or 0
