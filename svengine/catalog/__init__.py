@@ -21,4 +21,4 @@ def query(sql: str | None = None, name: str | None = None):
 
 
 def load() -> None:
-    from . import costs, gates, plans, reading, runs, states  # noqa: F401
+    from . import around, costs, gates, plans, reading, runs, states, streams  # noqa: F401
