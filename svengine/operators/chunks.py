@@ -135,7 +135,7 @@ def apply_global(df: DataFrame, g: Gate, at: tuple[int, ...], n: int, nc: int, s
 
     pair: the chunks of a group meet in one task. copy: each chunk is sent to every member of its group, and each computes its own
     part (the memory of two registers). slice: as pair, on slices of chunks. coresident: groups are made by space, so that a register
-    that is partitioned by space needs no exchange as long as the positions lie below the space's.
+    that is partitioned by space needs no exchange; a gate on the space's own bits is done as pair.
     """
     dtype, _ = WIDTH[precision]
     high = [p - nc for p in at if p >= nc]
@@ -181,9 +181,9 @@ def apply_global(df: DataFrame, g: Gate, at: tuple[int, ...], n: int, nc: int, s
     def meet(key, t):
         return put(_pair(g, at, nc, read(t)))
 
-    if strategy == "coresident":
+    if strategy == "coresident" and max(high) < n - nc - space_bits:
         return df.withColumn("space", F.shiftright("chunk", n - nc - space_bits)).repartition("space").groupBy("space", group.alias("group")).applyInArrow(meet, CHUNK)
-    if strategy != "pair":
+    if strategy not in ("pair", "coresident"):
         raise ValueError(f"unknown strategy {strategy}")
     return df.groupBy(group.alias("group")).applyInArrow(meet, CHUNK)
 
