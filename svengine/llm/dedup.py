@@ -7,6 +7,7 @@ with a third of all rows is a few rows there. Every hit (a row that isn't the on
 the kept row byte by byte; if a digest stands for several texts, its rows are grouped again by the text itself.
 
 Texts are equal when identical after lower-casing A-Z; null counts as empty. Rows that share the doc_id of the kept row are kept as well.
+Rows without a doc_id are counted; they are neither kept nor dropped (kept is null).
 """
 
 from __future__ import annotations

@@ -4,6 +4,7 @@ A text is cut at newlines into paragraphs and long paragraphs into spans; spans
 FANOUT leaves the sections, and the root covers the sections. Every code point belongs to one leaf, so two
 texts have the same root if and only if they are equal (up to SHA-256 collisions). Unequal branches of two
 trees locate edits. Null counts as the empty text, whose tree has no leaves.
+A row without a doc_id has no place in the order of documents, so fingerprints() gives it no row.
 
 Span lengths are 4, 16 or 64 code points by the text's length (up to 128, up to 1024, beyond), so that an edit of short texts also leaves most leaves alone.
 """

@@ -6,7 +6,8 @@ number of documents (two int64), MAGIC. A reader seeks to the end, reads the ind
 beside the files, named by its hash, and a reader refuses another one.
 
 Files are written whole under a name of the attempt's own and then renamed, so a task that runs again after a loss replaces its file
-by an equal one. Null text: no ids but the end id. Rows with the same doc_id follow one another, by their ids.
+by an equal one. Null text: no ids but the end id. Rows with the same doc_id follow one another, by their ids;
+rows without one have no place in the order and aren't written.
 """
 
 from __future__ import annotations

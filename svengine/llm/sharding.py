@@ -4,7 +4,8 @@ The heap on the driver gets a bounded number of items at any input size: a group
 bytes is an item of its own (there are at most shards * PARTS of them), and smaller groups are hashed into
 shards * PARTS bundles, each an item. Small tables have large groups only, for which this is the plain rule.
 
-Null text: no bytes, grouped with the empty text. Rows with the same doc_id are separate rows of their texts' groups.
+Null text: no bytes, grouped with the empty text. Rows with the same doc_id are separate rows of their texts' groups,
+and so are rows without one.
 A group larger than a fair share gets a shard to itself, as equal texts must stay together.
 """
 
