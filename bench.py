@@ -62,6 +62,10 @@ def main() -> None:
     for p in range(0, 4):  # weak scaling: 2^16 amplitudes for each partition
         w = W.brickwork(16 + p, 2)
         timed(f"weak_{2**p}", lambda w=w: blocked(w, 14))
+    for p in range(0, 5):  # strong scaling: 16 qubits over 1 to 16 partitions of one chunk
+        w = W.quantum_volume(spark, sf_dir, 16, 2)
+        timed(f"strong_{2**p}", lambda w=w, p=p: C.run_blocked(C.Register(zero(16, 16 - p).df.repartition(2**p), 16, 16 - p), plan_blocks(w, 16 - p)).df)
+    timed("volume_d10_tiered", lambda: C.run_blocked(zero(n, nc), plan_blocks(W.quantum_volume(spark, sf_dir, n, 10), nc), tiered="sections").df)
     for name in ("encode_orders", "u3_high_orders", "exchange_pair", "batch_orders_circuits", "events_circuits_state", "sample_shots_two_level", "qubit_p1"):
         timed(name, lambda name=name: catalog.QUERIES[name](spark, sf_dir))
     more["per_gate_over_blocked"] = {"volume_d2": round(took["volume_d2_per_gate_pair"] / took["volume_d2_blocked"], 2), "fourier": round(took["fourier_per_gate"] / took["fourier_blocked"], 2)}

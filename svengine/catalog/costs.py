@@ -86,6 +86,13 @@ def movement_kinds(spark, sf_dir):
     return spark.createDataFrame([("cpu_load", "disk read"), ("cpu_to_fast", "decode to worker"), ("fast_load", "pass in memory"), ("fast_to_fast", "local shuffle"), ("node_to_node", "remote shuffle")], "movement string, in_spark string")
 
 
+@query("SELECT * FROM (VALUES ('cpu_load', 0::BIGINT), ('cpu_to_fast', 12), ('fast_load', 28), ('fast_to_fast', 8), ('node_to_node', 4)) v(movement, chunk_moves)")
+def movement_profile(spark, sf_dir):
+    """The worked example in four chunks on two spaces, two of the chunks in the slow tier: three remaps, the second one across spaces."""
+    p = plan_blocks(W.worked_example(), 3, restore_order=False)
+    return spark.createDataFrame(list(K.movement_profile(p, 2, 2).items()), "movement string, chunk_moves long")
+
+
 @query("SELECT 'sections' AS kind, CAST(2 * 4 * 3 AS BIGINT) AS chunk_moves UNION ALL SELECT 'per_gate', 2 * 4 * 7 UNION ALL SELECT 'in_place', 0")
 def tier_traffic(spark, sf_dir):
     c = W.worked_example()
