@@ -120,6 +120,15 @@ def stock_patterns(demand: dict[int, int], room: int, columns: int = COLUMNS) ->
         if times:
             found.append((pattern, times))
             left = left - times * pattern
+    # few pieces of a class leave little of the program after rounding; then filling alone can be better
+    found, alone = found + _filled(left, sizes, room), _filled(np.array([demand[int(s)] for s in sizes], np.int64), sizes, room)
+    best = min(found, alone, key=lambda f: sum(t for _, t in f))
+    return [({int(s): int(n) for s, n in zip(sizes, p, strict=True) if n}, t) for p, t in best]
+
+
+def _filled(left: np.ndarray, sizes: np.ndarray, room: int) -> list:
+    """Patterns for what is left: each takes the largest sizes that still fit, as often as they last."""
+    found = []
     while left.any():
         pattern, free = np.zeros_like(left), room
         for k in range(len(sizes) - 1, -1, -1):
@@ -129,7 +138,7 @@ def stock_patterns(demand: dict[int, int], room: int, columns: int = COLUMNS) ->
         times = int((left[used] // pattern[used]).min())
         found.append((pattern, times))
         left = left - times * pattern
-    return [({int(s): int(n) for s, n in zip(sizes, p, strict=True) if n}, t) for p, t in found]
+    return found
 
 
 def slots(patterns: list[tuple[dict[int, int], int]]) -> list[tuple[int, int, int, int, int]]:
