@@ -20,8 +20,12 @@ from pyspark.sql import functions as F
 from . import common
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-#: Settings of the stream: RocksDB, which reserves 4 MB of disk for each partition's log unless told not to.
-SETTINGS = {"spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false"}
+#: Settings of the stream: RocksDB, which reserves 4 MB of disk for each partition's log unless told not to, and buffers for each
+#: partition in native memory; together they may take this much of an executor.
+SETTINGS = {
+    "spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false",
+    "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage": "true", "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB": "128",
+}
 #: Files of the digest table that one micro-batch takes.
 BATCH_FILES = 256
 #: A table of this many (long, long, int) rows at most is broadcast: 24 MB.
