@@ -5,8 +5,9 @@ of two is better, and the weights maximise the likelihood that a logistic curve
 quantile of the training documents' scores, the share that is labelled 0; a second logistic curve around it maps
 scores to 0..1, so that predicted = 1 means a score of at least one half.
 
-Only the text is used. The fit takes at most SAMPLE rows of each label, those with the smallest hashes, and PAIRS
-pairs for each row of the more frequent label: a bounded sample on the driver. Scores cover every row and whole text. Null text counts as empty;
+Only the text is used. The weights' fit takes at most SAMPLE rows of each label, those with the smallest hashes, and PAIRS
+pairs for each row of the more frequent label: a bounded sample on the driver. The cut and the slope come from all training rows,
+by counts and sums that the executors make. Scores cover every row and whole text. Null text counts as empty;
 repeated doc_ids are scored row by row. Where a label has no row, all scores are 1.
 """
 
@@ -18,11 +19,13 @@ import zlib
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import common
+from . import common, dedup
 
-#: Training rows of each label at most, and how many pairs each row is in.
+#: Training rows of each label at most that the weights are fitted on, and how many pairs each row is in.
 SAMPLE, PAIRS = 20_000, 4
 PENALTY = 1e-4
+#: Ranges of scores that one pass of quantile() counts.
+BINS = 4096
 
 _LETTERS = bytes([*range(65, 91), *range(97, 123), *range(128, 256)])
 _UPPER = bytes(range(65, 91))
@@ -56,13 +59,11 @@ def features(text: str | None) -> list[float]:
 
 
 def _wanted(docs: DataFrame, labels: DataFrame, held: int | None) -> DataFrame:
-    """Training rows: text, label. held: the remainder of crc32(doc_id) mod 3 that is left out."""
-    kept = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).where("label is not null and doc_id is not null").dropDuplicates(["doc_id"])
+    """Training rows: doc_id, text, label. held: the remainder of crc32(doc_id) mod 3 that is left out."""
+    kept = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).where("label in (0, 1) and doc_id is not null").dropDuplicates(["doc_id"])
     if held is not None:
         kept = kept.where(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) != held)
-    # the smallest hashes of each label: at most 2 * SAMPLE narrow rows
-    few = [kept.where(F.col("label") == v).orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE) for v in (0, 1)]
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few[0].unionByName(few[1])), "doc_id")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(dedup._small(kept), "doc_id")
 
 
 def _sigmoid(x):
@@ -70,9 +71,9 @@ def _sigmoid(x):
 
 
 def fit(x: np.ndarray, y: np.ndarray, seed: int = 7, steps: int = 400) -> dict:
-    """Weights by gradient steps with momentum over all preference pairs, and the curve around the cut."""
+    """Weights by gradient steps with momentum over all preference pairs."""
     if len(set(y.tolist())) < 2:
-        return {"mean": np.zeros(x.shape[1]), "weights": np.zeros(x.shape[1]), "cut": -40.0, "slope": 1.0}
+        return {"mean": np.zeros(x.shape[1]), "weights": np.zeros(x.shape[1])}
     mean, scale = x.mean(0), x.std(0) + 1e-6
     z = (x - mean) / scale
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
@@ -85,13 +86,40 @@ def fit(x: np.ndarray, y: np.ndarray, seed: int = 7, steps: int = 400) -> dict:
         p = _sigmoid(-(d * w).sum(1))
         speed = 0.9 * speed + (d * p[:, None]).mean(0) - PENALTY * w
         w = w + 0.5 * speed
-    s = (z * w).sum(1)
-    cut = float(np.quantile(s, (y == 0).mean()))
-    # the slope alone is fitted, so that the quantile stays at one half
+    return {"mean": mean, "weights": w / scale}
+
+
+def _linear(x: np.ndarray, model: dict) -> np.ndarray:
+    return ((x - model["mean"]) * model["weights"]).sum(1)
+
+
+def quantile(rows: DataFrame, share: float) -> float:
+    """The exact quantile of the column s, between neighbours as numpy's: counts of BINS ranges, then of the one with its rank, until that holds one value."""
+    n, lo, hi = rows.agg(F.count("s"), F.min("s"), F.max("s")).first()
+    at = (n - 1) * share
+    rank, after = int(at), hi
+    while lo < hi:
+        bin_ = F.least(F.floor((F.col("s") - lo) / ((hi - lo) / BINS)), F.lit(BINS - 1))
+        parts = rows.where(F.col("s").between(lo, hi)).groupBy(bin_.alias("bin")).agg(F.count("s").alias("n"), F.min("s").alias("lo"), F.max("s").alias("hi")).orderBy("bin").collect()
+        k = 0
+        while rank >= parts[k]["n"]:
+            rank -= parts[k]["n"]
+            k += 1
+        after = parts[k + 1]["lo"] if k + 1 < len(parts) else after
+        lo, hi, n = parts[k]["lo"], parts[k]["hi"], parts[k]["n"]
+    return lo + (at - int(at)) * ((lo if rank + 1 < n else after) - lo)
+
+
+def curve(rows: DataFrame) -> dict:
+    """The cut and the slope around it, from s and label of all training rows. The slope alone is fitted, so that the quantile stays at one half."""
+    n, bad = rows.agg(F.count("s"), F.sum(F.lit(1) - F.col("label"))).first()
+    if not 0 < (bad or 0) < n:
+        return {"cut": -40.0, "slope": 1.0}
+    cut = quantile(rows, bad / n)
     slopes = np.geomspace(0.05, 20, 60)
-    t = s - cut
-    loss = [np.log1p(np.exp(np.clip(-k * t * (2 * y - 1), -40, 40))).mean() for k in slopes]
-    return {"mean": mean, "weights": w / scale, "cut": cut, "slope": float(slopes[int(np.argmin(loss))])}
+    t = (F.col("s") - cut) * (F.lit(1) - 2 * F.col("label"))
+    loss = rows.select(t.alias("t")).agg(*[F.avg(F.log1p(F.exp(F.greatest(F.least(F.col("t") * float(k), F.lit(40.0)), F.lit(-40.0))))) for k in slopes]).first()
+    return {"cut": cut, "slope": float(slopes[int(np.argmin(list(loss)))])}
 
 
 def train(docs: DataFrame, labels: DataFrame, held: int | None = None) -> dict:
@@ -99,9 +127,21 @@ def train(docs: DataFrame, labels: DataFrame, held: int | None = None) -> dict:
         for b in batches:
             yield pa.RecordBatch.from_arrays([pa.array([features(t.as_py()) for t in b.column(0)], pa.list_(pa.float64())), b.column(1), b.column(2)], ["x", "label", "doc_id"])
 
-    rows = _wanted(docs, labels, held).select("text", "label", "doc_id").mapInArrow(run, "x array<double>, label int, doc_id long").toArrow().sort_by("doc_id")
-    x = np.array(rows["x"].to_pylist(), float).reshape(-1, len(FEATURES))
-    return fit(x, rows["label"].to_numpy())
+    rows = common.written(_wanted(docs, labels, held).select("text", "label", "doc_id").mapInArrow(run, "x array<double>, label int, doc_id long"), "quality-features")
+    # the smallest hashes of each label: at most 2 * SAMPLE narrow rows
+    few = [rows.where(F.col("label") == v).orderBy(F.xxhash64("doc_id"), "doc_id", "x").limit(SAMPLE) for v in (0, 1)]
+    sample = few[0].unionByName(few[1]).toArrow().sort_by("doc_id")
+    model = fit(np.array(sample["x"].to_pylist(), float).reshape(-1, len(FEATURES)), sample["label"].to_numpy())
+
+    def linear(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(_linear(np.array(b.column(0).to_pylist(), float).reshape(-1, len(FEATURES)), model)), b.column(1)], ["s", "label"])
+
+    scored = common.written(rows.select("x", "label").mapInArrow(linear, "s double, label int"), "quality-scores")
+    model |= curve(scored)
+    common.drop(rows)
+    common.drop(scored)
+    return model
 
 
 def score(docs: DataFrame, model: dict, names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
@@ -113,7 +153,7 @@ def score(docs: DataFrame, model: dict, names: tuple[str, str] = ("score", "pred
     def run(batches):
         for b in batches:
             x = np.array([features(t.as_py()) for t in b.column(at)], float).reshape(-1, len(FEATURES))
-            s = _sigmoid((((x - model["mean"]) * model["weights"]).sum(1) - model["cut"]) * model["slope"])
+            s = _sigmoid((_linear(x, model) - model["cut"]) * model["slope"])
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s), pa.array((s >= 0.5).astype("int32"))], [*kept, *names])
 
     return docs.select(*kept).mapInArrow(run, schema)

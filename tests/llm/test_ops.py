@@ -312,6 +312,20 @@ def test_quality(spark, docs, given, none):
     assert quality.train(none, labels)["cut"] == -40.0
 
 
+def test_quality_cut_beyond_the_sample(spark, monkeypatch):
+    """The share of bad rows and the quantile are those of all training rows, however few the weights are fitted on."""
+    r = np.random.default_rng(4)
+    rows = [(i, prose(i, int(r.integers(20, 60))) + " |" * int(r.integers(0, 12) + 3 * (i % 10 == 0))) for i in range(600)]
+    t = common.written(spark.createDataFrame(rows, "doc_id long, text string"), "overlapping")
+    labels = spark.createDataFrame([(i, int(i % 10 != 0)) for i, _ in rows], "doc_id long, quality int")
+    monkeypatch.setattr(quality, "SAMPLE", 25)
+    model = quality.train(t, labels)
+    x = np.array([quality.features(s) for _, s in rows])
+    s = ((x - model["mean"]) * model["weights"]).sum(1)
+    assert abs(model["cut"] - np.quantile(s, 0.1)) < 1e-9
+    assert quality.score(t, model).where("predicted = 0").count() == 60
+
+
 def plain_classes(rows):
     """By all pairs."""
     freq = np.zeros(neardup.CELLS)
