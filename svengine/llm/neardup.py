@@ -7,7 +7,7 @@ differing ones rare, and full idf weights would hide such copies.
 
 Each document gets SAMPLES improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
 folded first, so buckets hold different texts only. Within a bucket pairs aren't listed: each member is compared with one centre; then the pairs of different components that
-share a bucket are compared, but for those that MORE samples show to be far apart. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
+share a bucket are compared, but for those whose weights, summed by groups of shingles, can't reach the similarity. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
 found by distributed label propagation. A centre's text is replicated for every SALT members, so no task holds a large group.
 
 Texts without words are one class. Null counts as empty. Rows with the same doc_id are separate rows; if their texts differ, the class of one of them
@@ -41,9 +41,11 @@ SALT = 256
 STEP = 1 << 18
 #: A table of (long, long, int) rows up to this count is broadcast: 24 MB.
 BROADCAST_ROWS = 1_000_000
-#: More samples, of four bits each, of the texts in buckets that hold several components, and the most that may differ for a pair to be
-#: compared: at a similarity of 0.8, 72 of them differ on average, and more than 95 with a probability of 1e-3.
-MORE, FAR = 384, 95
+#: Draws for more samples, which only tests use.
+MORE = 384
+#: Groups of shingles, LANES to a long, whose weights are summed in units of 1 / UNITS, up to CAP each.
+LANES, UNITS, CAP = 7, 16, 127
+GROUPS = 37 * LANES
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -182,17 +184,35 @@ def sketches(texts: DataFrame, idf) -> DataFrame:
     return texts.mapInArrow(run, "doc_id long, digest binary, keys array<long>")
 
 
+def packed_sums(h: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, int, float]:
+    """The weights' sums by group of shingles, rounded up to units and packed; the units above CAP; the sum of all weights."""
+    units = np.ceil(np.bincount((h & np.uint64(0xFFFFFFFF)).astype(np.int64) % GROUPS, w.astype(np.float64), GROUPS) * UNITS).astype(np.int64)
+    low = np.minimum(units, CAP)
+    return (low.reshape(-1, LANES) << (8 * np.arange(LANES))).sum(1), int((units - low).sum()), float(w.sum(dtype=np.float64))
+
+
 def signatures(texts: DataFrame, wanted: DataFrame, idf) -> DataFrame:
-    """id and MORE four-bit samples, packed in longs, of the texts whose doc_id is an id of wanted."""
+    """id and packed_sums of the texts whose doc_id is an id of wanted."""
 
     def run(batches):
-        table, odd = idf.value, _draws()[5]
+        table = idf.value
         for b in batches:
-            low = [(samples(*weighted(t.as_py(), table), odd) & np.uint64(15)).astype(np.uint8) for t in b.column(1)]
-            bits = [(x[0::2] | x[1::2] << 4).view(np.int64) for x in low]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.tolist() for x in bits], pa.list_(pa.int64()))], ["id", "bits"])
+            got = [packed_sums(*weighted(t.as_py(), table)) for t in b.column(1)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.tolist() for x, _, _ in got], pa.list_(pa.int64())), pa.array([x for _, x, _ in got], pa.int64()), pa.array([x for _, _, x in got], pa.float64())], ["id", "sums", "over", "total"])
+
+    return texts.join(_small(wanted.select(F.col("id").alias("doc_id"))), "doc_id").select("doc_id", "text").mapInArrow(run, "id long, sums array<long>, over long, total double")
+
+
+def may_reach(similarity: float) -> str:
+    """Whether a pair's greatest possible similarity, given the sums of both (the second's end in _b), reaches similarity.
 
-    return texts.join(_small(wanted.select(F.col("id").alias("doc_id"))), "doc_id").select("doc_id", "text").mapInArrow(run, "id long, bits array<long>")
+    In each group the common weight is at most the lesser sum, so no pair that reaches it is ever left out; all lanes of two longs are compared at once.
+    """
+    high, even = 0x80808080808080, 0x00FF00FF00FF00FF
+    least = f"transform(zip_with(sums, sums_b, (x, y) -> struct(x AS x, x ^ y AS d, ((x | {high}L) - y) & {high}L AS m)), v -> v.x ^ (v.d & (v.m - shiftright(v.m, 7))))"
+    lanes = f"aggregate({least}, 0L, (t, v) -> t + (v & {even}L) + (shiftright(v, 8) & {even}L), t -> (t & 65535L) + (shiftright(t, 16) & 65535L) + (shiftright(t, 32) & 65535L) + shiftright(t, 48))"
+    share = f"{float(similarity)}D"
+    return f"least(total, total_b) >= {share} * greatest(total, total_b) - 1e-6D and ({lanes} + least(over, over_b)) * (1 + {share}) >= {UNITS} * ({share} * (total + total_b) - 1e-6D)"
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -260,16 +280,13 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
         in_bucket = buckets.join(components(links), "id", "left").select("key", "id", F.coalesce("label", "id").alias("part"))
         open_ = in_bucket.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("key")
         rest = common.written(in_bucket.join(open_, "key"), "neardup-open")
-        bits = common.written(signatures(texts, common.written(rest.select("id").distinct(), "neardup-ids"), idf), "neardup-bits")
+        sums = common.written(signatures(texts, common.written(rest.select("id").distinct(), "neardup-ids"), idf), "neardup-sums")
         keys = copies.select(F.col("copy_of").alias("id"), F.col("first.keys").alias("keys"))
-        rest = common.written(rest.join(bits, "id").join(keys, "id").withColumn("band", F.array_position("keys", F.col("key"))), "neardup-open")
-        other = rest.select("key", F.col("id").alias("b"), F.col("part").alias("part_b"), F.col("bits").alias("bits_b"), F.col("keys").alias("keys_b"))
-        # samples that differ: of each four bits of the exclusive or, whether any is set
-        fold = lambda x: f"bit_count(({x} | shiftright({x}, 1) | shiftright({x}, 2) | shiftright({x}, 3)) & 1229782938247303441L)"
-        differ = " + ".join(fold(f"(bits[{i}] ^ bits_b[{i}])") for i in range(MORE // 16))
+        rest = common.written(rest.join(sums, "id").join(keys, "id").withColumn("band", F.array_position("keys", F.col("key"))), "neardup-open")
+        other = rest.select("key", F.col("id").alias("b"), F.col("part").alias("part_b"), F.col("sums").alias("sums_b"), F.col("over").alias("over_b"), F.col("total").alias("total_b"), F.col("keys").alias("keys_b"))
         # two texts that share several buckets are a pair in the first of them only
         first = "band = array_position(zip_with(keys, keys_b, (x, y) -> x = y), true)"
-        met = rest.withColumnRenamed("id", "a").join(other.withColumnRenamed("key", "key_b"), F.expr(f"key = key_b and part < part_b and {differ} <= {FAR} and {first}"))
+        met = rest.withColumnRenamed("id", "a").join(other.withColumnRenamed("key", "key_b"), F.expr(f"key = key_b and part < part_b and {first} and {may_reach(similarity)}"))
         new = _ordered(met.select("a", "b")).join(done, ["a", "b"], "left_anti")
         more = verified(texts, new, idf).where(F.col("similarity") >= similarity)
         links = common.written(links.unionByName(more), "neardup-links")

@@ -365,6 +365,31 @@ def test_near_duplicates(spark, docs, given, none):
     assert neardup.classes(none).count() == 0
 
 
+def test_near_pairs_in_a_bucket_are_all_found(spark, monkeypatch):
+    """A pair at 0.807 with more unequal samples than chance would have it, in the bucket of a centre like neither."""
+    words = [f"w5921x{k}" for k in range(100)]
+    rows = [(0, " ".join(f"c{k}" for k in range(100))), (1, " ".join(words)), (2, " ".join(words[:90] + [f"v5921x{k}" for k in range(10)]))]
+    monkeypatch.setattr(neardup, "band_keys", lambda h, w: np.arange(neardup.BANDS))
+    t = common.written(spark.createDataFrame(rows, "doc_id long, text string"), "bucket")
+    got = {r["doc_id"]: r["class_id"] for r in neardup.classes(t).collect()}
+    assert got == {0: 0, 1: 1, 2: 1}
+
+
+def test_sums_bound_the_similarity(spark):
+    flat = np.ones(neardup.CELLS, np.float32)
+    rows = []
+    for k, n in enumerate((3, 40, 400, 12_000) * 10):
+        a = prose(k, n).split()
+        b = [w if i % 100 >= k else f"z{i}" for i, w in enumerate(a[: n - n * k // 200])]
+        x, y = (neardup.weighted(" ".join(z), flat) for z in (a, b))
+        (s, o, t), (s_b, o_b, t_b) = neardup.packed_sums(*x), neardup.packed_sums(*y)
+        rows.append((s.tolist(), o, t, s_b.tolist(), o_b, t_b, neardup.weighted_jaccard(x, y)))
+    d = spark.createDataFrame(rows, "sums array<long>, over long, total double, sums_b array<long>, over_b long, total_b double, likeness double")
+    for s in (0.2, 0.5, 0.8):
+        got = d.selectExpr("likeness", f"{neardup.may_reach(s)} AS may").collect()
+        assert all(r["may"] for r in got if r["likeness"] >= s) and not all(r["may"] for r in got)
+
+
 def test_samples_agree_as_often_as_similarity():
     a, b = prose(1, 3000).split(), prose(1, 3000).split()
     b[1000:1300] = [f"y{i}" for i in range(300)]
