@@ -6,7 +6,7 @@ texts have the same root if and only if they are equal (up to SHA-256 collisions
 trees locate edits. Null counts as the empty text, whose tree has no leaves.
 A row without a doc_id has no place in the order of documents, so fingerprints() gives it no row.
 
-Span lengths are 4, 16 or 64 code points by the text's length (up to 128, up to 1024, beyond), so that an edit of short texts also leaves most leaves alone.
+Spans have the same length in every text, so that likeness doesn't depend on which side of a limit a text's length is.
 """
 
 from __future__ import annotations
@@ -17,19 +17,15 @@ from pyspark.sql import functions as F
 from . import common
 
 FANOUT = 16
-#: Upper bounds of the text's length, in code points, and the span used up to there.
-SPANS = ((128, 4), (1024, 16), (None, 64))
+#: Upper bounds of the text's length, in code points, and the span used up to there: one for all lengths.
+SPANS = ((None, 16),)
 #: Hex digits kept of a section's or leaf's hash in the printed form.
 SHORT = 8
 
 
 def leaves(text: Column) -> Column:
     """Array of spans whose concatenation is the text."""
-    cut = lambda k: F.regexp_extract_all(text, F.lit(f"[^\n]{{1,{k}}}\n?|\n"), F.lit(0))
-    out = cut(SPANS[-1][1])
-    for most, span in reversed(SPANS[:-1]):
-        out = F.when(F.char_length(text) <= most, cut(span)).otherwise(out)
-    return out
+    return F.regexp_extract_all(text, F.lit(f"[^\n]{{1,{SPANS[-1][1]}}}\n?|\n"), F.lit(0))
 
 
 def with_tree(df: DataFrame, text: str, to: str) -> DataFrame:

@@ -11,6 +11,7 @@ import pytest
 
 pytest.importorskip("svengine.llm")
 
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from svengine.llm import common, dedup, encoding, fingerprint, idfiles, lmscore, neardup, packing, quality, sharding, tokens, urls
@@ -190,6 +191,15 @@ def test_fingerprints(docs, given, none):
     assert fingerprint.fingerprints(none).count() == 0
 
 
+def test_likeness_does_not_depend_on_a_length(spark):
+    text = prose(8, 400)
+    rows = [(text[:n], text[:n] + " and more.") for n in (60, 120, 125, 500, 900, 1020, 1024)]
+    t = spark.createDataFrame(rows, "x string, y string")
+    t = fingerprint.with_tree(fingerprint.with_tree(t, "x", "p"), "y", "q")
+    for r in t.select(F.length("x").alias("n"), fingerprint.likeness("p", "q").alias("like")).collect():
+        assert r["like"] >= 1 - (10 / 16 + 2) / (r["n"] / 16), r
+
+
 def test_changed_leaves(spark):
     t = spark.createDataFrame([("a\nb\nc\n", "a\nX\nc\n")], "x string, y string")
     t = fingerprint.with_tree(fingerprint.with_tree(t, "x", "p"), "y", "q")
