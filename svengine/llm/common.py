@@ -5,14 +5,17 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
-    """A new folder below spark.checkpoint.dir, which driver and executors share; a local one only where it is unset."""
+    """A new folder below spark.checkpoint.dir, which driver and executors share; where it is unset, a local one on a local master only."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         root = tempfile.mkdtemp(prefix="svengine-")
         spark.sparkContext.setCheckpointDir(root)
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -65,23 +68,50 @@ def ranked(df: DataFrame, group: list[str], order: list[str], out: str = "rank")
     )
 
 
-def range_bounds(df: DataFrame, key: str, buckets: int) -> list[int]:
-    """At most buckets - 1 ascending values of key that cut its rows into about equal ranges."""
-    if buckets < 2:
-        return []
-    shares = [i / buckets for i in range(1, buckets)]
-    got = df.select(F.percentile_approx(key, shares, max(10_000, 20 * buckets)).alias("b")).first()["b"]
-    return sorted(set(got or []))
+#: A key with more than this share of all rows is hot; there are at most HOT_SHARE such keys.
+HOT_SHARE = 1024
 
 
-def range_bucket(key: str, bounds: list[int]) -> Column:
-    """How many bounds are <= key; looked up in two steps, so that a row costs the root of the number of bounds."""
-    if not bounds:
+def looked_up(rows: DataFrame, found: DataFrame, key: str, n: str, total: int | None = None) -> DataFrame:
+    """rows joined with found, which has a row for each value of key, with the number n of its rows.
+
+    Rows of hot keys get their row of found by broadcast (of at most HOT_SHARE rows), wherever they lie; the others are
+    shuffled by key. So no task gets all rows of a hot key. Both must be stable (written) tables; n is kept as a column.
+    """
+    total = rows.count() if total is None else total
+    hot = F.broadcast(found.where(F.col(n) * HOT_SHARE > total))
+    cold = rows.join(F.broadcast(hot.select(key)), key, "left_anti")
+    return rows.join(hot, key).unionByName(cold.join(found.where(F.col(n) * HOT_SHARE <= total), key))
+
+
+#: Ranges that in_ranges() finds by quantiles; they are cut further by arithmetic.
+COARSE = 256
+
+
+def in_ranges(rows: DataFrame, key: str, size: Column, most: int, out: str = "part") -> DataFrame:
+    """rows with the range of their key (long, not null): a number that rises with the key, for ranges of about `most` of size each.
+
+    At most COARSE ranges of about equal rows come from quantiles; each is cut into pieces of equal width in the key, as many as its
+    size asks for. So driver and plan hold COARSE bounds at any input size. Ranges are even as far as keys are evenly spread inside each.
+    """
+    shares = [i / COARSE for i in range(1, COARSE)]
+    bounds = np.array(sorted(set(rows.select(F.percentile_approx(key, shares, 20 * COARSE).alias("b")).first()["b"] or [])), np.int64)
+    dealt = rows.withColumn("_coarse", _place(key, bounds))
+    got = dealt.groupBy("_coarse").agg(F.min(key).alias("lo"), F.max(key).alias("hi"), F.sum(size).alias("size")).orderBy("_coarse").collect()  # COARSE rows at most
+    n = len(bounds) + 1
+    lo, width, first, sum_ = np.zeros(n, np.int64), np.ones(n), np.zeros(n, np.int64), 0
+    for c, least, greatest, total in got:
+        pieces = max(1, min(-(-(total or 0) // most), greatest - least + 1))
+        lo[c], width[c], first[c], sum_ = least, (greatest - least + 1) / pieces, sum_, sum_ + pieces
+    at = lambda values: F.get(F.lit(values), F.col("_coarse"))
+    return dealt.withColumn(out, (at(first) + F.floor((F.col(key) - at(lo)) / at(width))).cast("long")).drop("_coarse")
+
+
+def _place(key: str, bounds: np.ndarray) -> Column:
+    """How many of the ascending bounds are <= key; looked up in two steps, so that a row costs the root of the number of bounds."""
+    if not len(bounds):
         return F.lit(0)
     width = max(1, int(len(bounds) ** 0.5))
-    parts = [bounds[i : i + width] for i in range(0, len(bounds), width)]
-    heads = F.array(*[F.lit(p[0]) for p in parts])
-    nested = F.array(*[F.array(*[F.lit(x) for x in p]) for p in parts])
-    part = F.size(F.filter(heads, lambda x: x <= F.col(key)))
-    inner = F.size(F.filter(F.get(nested, part - 1), lambda x: x <= F.col(key)))
-    return F.when(part == 0, F.lit(0)).otherwise((part - 1) * width + inner)
+    part = F.size(F.filter(F.lit(bounds[::width]), lambda x: x <= F.col(key)))
+    inside = F.slice(F.lit(bounds), F.greatest(part - 1, F.lit(0)) * width + 1, F.lit(width))
+    return F.greatest(part - 1, F.lit(0)) * width + F.size(F.filter(inside, lambda x: x <= F.col(key)))

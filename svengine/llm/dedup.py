@@ -4,10 +4,12 @@ The first pass writes (digest, doc_id) of every row: a narrow table. A streaming
 state, in RocksDB and never expired, holds for each digest the stable identifier (the largest doc_id, which is the
 content locator as well) and the number of rows. Rows are summed up on the map side before they are dealt by digest, so a text
 with a third of all rows is a few rows there. Every hit (a row that isn't the one its digest keeps) is then compared with
-the kept row byte by byte; if a digest stands for several texts, its rows are grouped again by the text itself.
+the kept row byte by byte; if a digest stands for several texts, its rows are grouped again by the text itself. Joins with the state
+send the rows of a digest with many rows nowhere (common.looked_up), so no task gets all of them.
 
 Texts are equal when identical after lower-casing A-Z; null counts as empty. Rows that share the doc_id of the kept row are kept as well.
-Rows without a doc_id are counted; they are neither kept nor dropped (kept is null).
+Rows without a doc_id are counted; they are neither kept nor dropped (kept is null). An empty table gives no rows; columns other than doc_id and text
+are ignored; texts of any length pass as digests, and whole only where they are hits.
 """
 
 from __future__ import annotations
@@ -42,19 +44,15 @@ def keep_state(digests: DataFrame, batch_files: int = BATCH_FILES) -> DataFrame:
     """digest, keep_id, group_size: the state after the whole stream. digests is a written table of digest, doc_id."""
     spark = digests.sparkSession
     folder = common.shared_folder(spark, "dedup-stream")
-    before = {k: spark.conf.get(k, None) for k in SETTINGS}
-    for k, v in SETTINGS.items():
-        spark.conf.set(k, v)
-    try:
-        stream = spark.readStream.schema(digests.schema).option("maxFilesPerTrigger", batch_files).parquet(digests.shared_path)
-        state = stream.groupBy("digest").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-        # a batch that is run again after a failure overwrites its own rows
-        sink = lambda df, k: df.write.mode("overwrite").parquet(f"{folder}/updates/batch={k}")
-        query = state.writeStream.outputMode("update").foreachBatch(sink).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
-        query.awaitTermination()
-    finally:
-        for k, v in before.items():
-            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+    own = spark.newSession()  # the stream's settings stay out of the caller's session
+    for k, v in {**SETTINGS, **{k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.session.timeZone")}}.items():
+        own.conf.set(k, v)
+    stream = own.readStream.schema(digests.schema).option("maxFilesPerTrigger", batch_files).parquet(digests.shared_path)
+    state = stream.groupBy("digest").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+    # a batch that is run again after a failure overwrites its own rows
+    sink = lambda df, k: df.write.mode("overwrite").parquet(f"{folder}/updates/batch={k}")
+    query = state.writeStream.outputMode("update").foreachBatch(sink).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
+    query.awaitTermination()
     schema = "digest binary, keep_id long, group_size long"
     if query.lastProgress is None:  # no file, no batch
         return spark.createDataFrame([], schema)
@@ -71,8 +69,8 @@ def exact_dedup(docs: DataFrame, digest_bytes: int = 32, batch_files: int = BATC
     """doc_id, keep_id, group_size, kept, text_sha256 of every row. digest_bytes < 32 makes digests collide, for tests."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.unhex(F.sha2(normalised(), 256)).alias("sha"))
     rows = common.written(rows.select(F.substring("sha", 1, digest_bytes).alias("digest"), "doc_id", "sha"), "dedup-digests")
-    groups = keep_state(rows, batch_files)
-    verdict = common.written(rows.join(groups, "digest"), "dedup-verdict")
+    groups = common.written(keep_state(rows, batch_files), "dedup-groups")
+    verdict = common.written(common.looked_up(rows, groups, "digest", "group_size"), "dedup-verdict")
     hits = verdict.where("group_size > 1 and doc_id <> keep_id").select("doc_id", "keep_id", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("group_size") / SALT_ROWS)).cast("int").alias("salt"))
     kept = verdict.where("group_size > 1 and doc_id = keep_id").select("doc_id", F.ceil(F.col("group_size") / SALT_ROWS).cast("int").alias("salts")).groupBy("doc_id").agg(F.max("salts").alias("salts"))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), normalised().alias("bytes"))
@@ -84,8 +82,7 @@ def exact_dedup(docs: DataFrame, digest_bytes: int = 32, batch_files: int = BATC
     out = ["doc_id", "keep_id", "group_size", F.expr("doc_id = keep_id").alias("kept"), F.lower(F.hex("sha")).alias("text_sha256")]
     if wrong_digests.isEmpty():
         return verdict.select(*out)
-    again = verdict.join(wrong_digests, "digest", "left_semi").select("doc_id").distinct()
-    whole = texts.join(again, "doc_id").withColumn("sha", F.unhex(F.sha2("bytes", 256)))
+    whole = texts.withColumn("sha", F.unhex(F.sha2("bytes", 256))).withColumn("digest", F.substring("sha", 1, digest_bytes)).join(wrong_digests, "digest", "left_semi")
     parts = whole.groupBy("bytes").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
     return verdict.join(wrong_digests, "digest", "left_anti").select(*out).unionByName(whole.join(parts, "bytes").select(*out))
 

@@ -1,6 +1,7 @@
 """Encoding and decoding of whole texts by forced-boundary splitting (see tokens.py), as an Arrow map without a shuffle.
 
-Null text counts as empty (no ids). Equal rows give equal results; other columns of the input are ignored.
+Null text counts as empty (no ids). Equal rows give equal results, rows without a doc_id are encoded as others; other columns of the input are ignored; an
+empty table gives no rows. A text of any length is one row; its fragments are looked up in steps.
 """
 
 from __future__ import annotations

@@ -6,8 +6,9 @@ number of documents (two int64), MAGIC. A reader seeks to the end, reads the ind
 beside the files, named by its hash, and a reader refuses another one.
 
 Files are written whole under a name of the attempt's own and then renamed, so a task that runs again after a loss replaces its file
-by an equal one. Null text: no ids but the end id. Rows with the same doc_id follow one another, by their ids;
-rows without one have no place in the order and aren't written.
+by an equal one. Files are cut by bytes of text in ranges of doc_ids; rows with the same doc_id follow one another in one file, by their ids.
+Null text: no ids but the end id. Rows without a doc_id have no place in the order and aren't written. An empty table gives no file;
+other columns are ignored; a text of any length is one frame.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.fs as pafs
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common, tokens
@@ -29,6 +30,8 @@ MAGIC = b"IDFILE01"
 END = 2
 #: Text bytes that one file's documents have on average.
 FILE_BYTES = 32_000_000
+#: Tasks that read files at most.
+READERS = 100_000
 #: Dictionary: its size, the documents it is trained on at most, and bytes taken from each.
 DICT_BYTES, SAMPLES, SAMPLE_BYTES = 64_000, 2000, 8192
 
@@ -102,12 +105,13 @@ class IdFile:
             yield np.frombuffer(self.context.decompress(whole[at[i] : at[i + 1]]), self.dtype)
 
 
-def write_ids(docs: DataFrame, folder: str, end: int = END, path: str = tokens.DEFAULT, file_bytes: int = FILE_BYTES) -> tuple[list[tuple[str, int, int]], bytes]:
-    """Write all documents in ascending doc_id order. Returns (file name, documents, ids) in that order, a row for each file, and the dictionary."""
+def write_ids(docs: DataFrame, folder: str, end: int = END, path: str = tokens.DEFAULT, file_bytes: int = FILE_BYTES) -> tuple[DataFrame, bytes]:
+    """Write all documents in ascending doc_id order. Returns a row for each file (name, docs, ids, first: ids before it) and the dictionary."""
+    spark = docs.sparkSession
     width = 2 if len(tokens.codec(path).token) <= 1 << 16 else 4
     dtype, end_id = f"<u{width}", np.array([end], f"<u{width}").tobytes()
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null")
-    n, size = rows.agg(F.count(F.lit(1)), F.sum(F.octet_length("text"))).first()
+    n = rows.count()
     serial = lambda c, t: np.frombuffer(c.encode(t or ""), "<u4").astype(dtype).tobytes() + end_id
 
     def sample(batches):
@@ -117,7 +121,6 @@ def write_ids(docs: DataFrame, folder: str, end: int = END, path: str = tokens.D
 
     some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(max(1, n // (SAMPLES // 2)))) == 0).limit(SAMPLES)
     dictionary = train([bytes(r["s"]) for r in some.select("text").mapInArrow(sample, "s binary").collect()])
-    bounds = common.range_bounds(rows, "doc_id", (size or 0) // file_bytes + 1)
 
     def compress(batches):
         c, z = tokens.codec(path), _compressor(dictionary)
@@ -132,23 +135,24 @@ def write_ids(docs: DataFrame, folder: str, end: int = END, path: str = tokens.D
     def write(key, t):
         t = t.sort_by([("doc_id", "ascending"), ("frame", "ascending")])
         part = key[0].as_py()
-        name = f"ids-{part:09d}"
+        name = f"ids-{part:012d}"
         write_file(folder, name, width, dictionary, t["doc_id"].to_numpy(), t["frame"].to_pylist(), t["n"].to_numpy())
-        return pa.table({"part": pa.array([part], pa.int32()), "name": [name], "docs": pa.array([t.num_rows], pa.int64()), "ids": pa.array([int(t["n"].to_numpy().sum())], pa.int64())})
+        return pa.table({"part": pa.array([part], pa.int64()), "name": [name], "docs": pa.array([t.num_rows], pa.int64()), "ids": pa.array([int(t["n"].to_numpy().sum())], pa.int64())})
 
-    framed = rows.withColumn("part", common.range_bucket("doc_id", bounds).cast("int")).mapInArrow(compress, "part int, doc_id long, n long, frame binary")
-    files = framed.groupBy("part").applyInArrow(write, "part int, name string, docs long, ids long").collect()  # a row for each file
+    dealt = common.in_ranges(rows, "doc_id", F.coalesce(F.octet_length("text"), F.lit(0)) + 1, file_bytes)
+    framed = dealt.select("doc_id", "text", "part").mapInArrow(compress, "part long, doc_id long, n long, frame binary")
+    files = common.written(framed.groupBy("part").applyInArrow(write, "part long, name string, docs long, ids long"), "id-files-written")
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a narrow row for each file
+    files = common.written(files.select("name", "docs", "ids", F.coalesce(F.sum("ids").over(before), F.lit(0)).cast("long").alias("first")), "id-files-index")
     fs, base = _opened(folder)
     fs.create_dir(base, recursive=True)
     with fs.open_output_stream(f"{base}/{hashlib.sha256(dictionary).hexdigest()}.dict") as out:
         out.write(dictionary)
-    return [(r["name"], r["docs"], r["ids"]) for r in sorted(files, key=lambda r: r["part"])], dictionary
+    return files, dictionary
 
 
-def read_ids(spark: SparkSession, folder: str, files: list[tuple[str, int, int]], dictionary: bytes) -> DataFrame:
+def read_ids(folder: str, files: DataFrame, dictionary: bytes) -> DataFrame:
     """doc_id, start (ids of all documents before it), n_tokens, ids_crc32 from the files."""
-    starts = np.concatenate([[0], np.cumsum([f[2] for f in files])]).tolist()
-    jobs = spark.createDataFrame([(name, start) for (name, _, _), start in zip(files, starts, strict=False)], "name string, first long")
 
     def run(batches):
         for b in batches:
@@ -157,10 +161,10 @@ def read_ids(spark: SparkSession, folder: str, files: list[tuple[str, int, int]]
                 crc = [zlib.crc32(ids.astype("<u4").tobytes()) for ids in f.read_all()]
                 yield pa.RecordBatch.from_arrays([pa.array(f.doc_ids), pa.array(f.starts[:-1] + first), pa.array(np.diff(f.starts)), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return jobs.repartition(max(1, len(files))).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.select("name", "first").repartition(max(1, min(READERS, files.count()))).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op9_id_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = common.shared_folder(spark, "id-files")
     files, dictionary = write_ids(common.table(spark, sf_dir, "documents"), folder)
-    return read_ids(spark, folder, files, dictionary)
+    return read_ids(folder, files, dictionary)

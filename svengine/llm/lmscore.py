@@ -1,17 +1,19 @@
 """Language-model scores from n-gram counts in log-frequency Bloom filters.
 
 Tokens are words (ASCII lower case, split at ASCII white space) and an end token; keys are hashes of words (63 bits) and of word pairs
-(48 bits). Documents are dealt to blocks of about BLOCK_BYTES. A block sends its distinct keys with their training counts, sorted and
-packed, a row for each range of keys that it has any in. The task of a range sums the counts of all blocks. For words it answers with exact
-counts. For pairs it inserts quantised counts into a log-frequency Bloom filter (a key is inserted once for each level up to its own) and
-answers each block's keys with repeated membership probes, level by level until one fails. A block then scores its documents.
+(48 bits). Training: each task counts the keys of about STEP_TOKENS tokens at a time and sends them, sorted and packed, a row for each range
+of keys that it has any in. The task of a range sums them. Words' counts are kept as they are. Pairs' counts are quantised and inserted into a
+log-frequency Bloom filter (a key is inserted once for each level up to its own); the filter is all that is kept of them. The model is this
+table: one row of bounded size for each range.
 
-The filter grows with the corpus, so it isn't broadcast as a whole: it is cut by key range, each part a bounded size, and the probes
-come to the part. Rows sent are never more than the distinct keys of the blocks, however many blocks there are.
+Scoring: documents are dealt to blocks of about BLOCK_BYTES. A block sends its distinct keys to the ranges, where the model's row answers them, pairs by
+repeated membership probes, level by level until one fails; the block then scores its documents. The filter grows with the corpus, so it isn't broadcast as
+a whole: probes come to its parts. Rows sent are never more than the distinct keys of the blocks, however many blocks there are.
 
 P(w | v) = (1 - mix) * P(w) + mix * c(v w) / c(v), with P(w) = (c(w) + 0.5) / (N + 0.5 (V + 1)); without training counts of v it is P(w).
 mix is the value of MIXES that gives the training texts the greatest leave-one-out likelihood. Null text: the end token only.
-Rows with the same doc_id are scored one by one.
+Rows with the same doc_id, and rows without one, are scored one by one; other columns are ignored; an empty table gives no rows. A text is scored by
+one task, whatever its length.
 """
 
 from __future__ import annotations
@@ -75,13 +77,21 @@ class LogFrequencyBloom:
 
     def __init__(self, keys: np.ndarray, counts: np.ndarray):
         q = quantised(counts)
-        self.m = np.uint64(max(64, int(q.sum()) * BITS_PER_ENTRY))
+        self.m = np.uint64(max(64, -(-int(q.sum()) * BITS_PER_ENTRY // 8) * 8))
         bits = np.zeros(int(self.m), bool)
         for level in range(1, int(q.max(initial=0)) + 1):
             for at in self._places(keys[q >= level], level):
                 bits[at] = True
         self.bits = np.packbits(bits, bitorder="little")
 
+    @classmethod
+    def of(cls, bits: bytes) -> LogFrequencyBloom:
+        """The filter whose bits were kept."""
+        out = cls.__new__(cls)
+        out.bits = np.frombuffer(bits, np.uint8)
+        out.m = np.uint64(8 * len(out.bits))
+        return out
+
     def _places(self, keys: np.ndarray, level: int):
         a = _mixed(keys * _M + np.uint64(level))
         b = _mixed(a + _M) | np.uint64(1)
@@ -127,14 +137,6 @@ def _unpacked(b: bytes, width: int) -> np.ndarray:
     return out.reshape(-1).view("<u8")
 
 
-def _distinct(keys: np.ndarray, train: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct keys and how many of each are training ones. Keys have a bit to spare for the mark."""
-    x = np.sort((keys << np.uint64(1)) | train.astype(np.uint64))
-    k = x >> np.uint64(1)
-    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.zeros(0, np.int64)
-    return k[first], np.add.reduceat((x & np.uint64(1)).astype(np.int64), first) if len(first) else np.zeros(0, np.int64)
-
-
 def _tokens(t: pa.Table):
     """Documents' positions and their tokens: (document of each token, word hashes, pair hashes)."""
     hashes = [token_hashes(x.as_py()) for x in t["text"]]
@@ -143,8 +145,12 @@ def _tokens(t: pa.Table):
 
 
 KINDS = (("word", WORD_BITS), ("pair", PAIR_BITS))
-CELL = "kind string, span long, block long, keys binary, counts binary"
-ANSWER = "kind string, span long, block long, answer binary, tokens long, types long"
+#: Tokens that a training task counts at a time.
+STEP_TOKENS = 1 << 21
+COUNTS = "kind string, span long, keys binary, counts binary"
+PART = "kind string, span long, keys binary, filter binary, tokens long, types long"
+ASKED = "kind string, span long, block long, keys binary"
+ANSWER = "kind string, span long, block long, answer binary"
 
 
 def _spans(keys: np.ndarray, bits: int, spans: int) -> np.ndarray:
@@ -152,41 +158,85 @@ def _spans(keys: np.ndarray, bits: int, spans: int) -> np.ndarray:
     return np.minimum((keys.astype(np.float64) * (spans / 2.0**bits)).astype(np.int64), spans - 1)
 
 
-def _answers(docs: DataFrame, spans: int) -> DataFrame:
-    def ask(key, t):
-        block = key[0].as_py()
-        n, doc, words, pairs = _tokens(t)
-        train = ~np.array(t["held_out"].to_pylist(), bool)[doc]
-        out = [[], [], [], [], []]
-        for (kind, bits), keys in zip(KINDS, (words, pairs), strict=True):
-            k, c = _distinct(keys, train)
-            s = _spans(k, bits, spans)
-            edges = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1], [True]]))
-            for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
-                step = np.diff(k[lo:hi], prepend=np.uint64(0))
-                for col, v in zip(out, (kind, int(s[lo]), block, _packed(step, 8), _packed(c[lo:hi], 4)), strict=True):
-                    col.append(v)
-        return pa.table({"kind": out[0], "span": pa.array(out[1], pa.int64()), "block": pa.array(out[2], pa.int64()), "keys": pa.array(out[3], pa.binary()), "counts": pa.array(out[4], pa.binary())})
-
-    def answer(key, t):
+def _cut(k: np.ndarray, bits: int, spans: int):
+    """(range, first, last) of each range that sorted keys have any in."""
+    s = _spans(k, bits, spans)
+    edges = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1], [True]])) if len(k) else np.zeros(1, int)
+    return zip(s[edges[:-1]].tolist(), edges[:-1].tolist(), edges[1:].tolist(), strict=True)
+
+
+def train(texts: DataFrame, spans: int) -> DataFrame:
+    """The model: for each kind and range of keys the keys with counts (words) or the filter (pairs), and sums over the range."""
+
+    def count(batches):
+        def rows(held):
+            hashes = [token_hashes(t) for t in held]
+            for (kind, bits), keys in zip(KINDS, (np.concatenate(hashes), np.concatenate([pair_hashes(h) for h in hashes])), strict=True):
+                k, c = np.unique(keys, return_counts=True)
+                yield from ((kind, span, _packed(np.diff(k[lo:hi], prepend=np.uint64(0)), 8), _packed(c[lo:hi], 4)) for span, lo, hi in _cut(k, bits, spans))
+
+        def emit(held):
+            out = list(rows(held))
+            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in out]), pa.array([r[1] for r in out], pa.int64()), pa.array([r[2] for r in out], pa.binary()), pa.array([r[3] for r in out], pa.binary())], ["kind", "span", "keys", "counts"])
+
+        held, n = [], 0
+        for b in batches:
+            for t in b.column(0):
+                held.append(t.as_py() or "")
+                n += len(held[-1]) // 6 + 1
+                if n >= STEP_TOKENS:
+                    yield emit(held)
+                    held, n = [], 0
+        if held:
+            yield emit(held)
+
+    def keep(key, t):
         kind, span = key[0].as_py(), key[1].as_py()
         parts = [np.cumsum(_unpacked(x.as_py(), 8), dtype=np.uint64) for x in t["keys"]]
         counts = np.concatenate([_unpacked(x.as_py(), 4) for x in t["counts"]]).astype(np.int64)
-        every, at = np.unique(np.concatenate(parts), return_inverse=True)
-        total = np.bincount(at, weights=counts, minlength=len(every)).astype(np.int64)
-        sizes = np.cumsum([len(p) for p in parts])[:-1]
+        k = np.concatenate(parts)
+        order = np.argsort(k, kind="stable")
+        k, counts = k[order], counts[order]
+        first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+        k, counts = k[first], np.add.reduceat(counts, first)
         if kind == "word":
-            blobs = [_packed(x, 6) for x in np.split(total[at], sizes)]
+            blob = (_packed(np.diff(k, prepend=np.uint64(0)), 8), _packed(counts, 6))
         else:
-            known = total > 0
-            bloom = LogFrequencyBloom(every[known], total[known])
-            blobs = [_packed(x, 1) for x in np.split(bloom.level(every)[at], sizes)]
-        n = len(blobs)
-        # the range's own sums stand in its first row
-        first = lambda v: pa.array([v] + [0] * (n - 1), pa.int64())
-        return pa.table({"kind": [kind] * n, "span": pa.array([span] * n, pa.int64()), "block": t["block"], "answer": pa.array(blobs, pa.binary()), "tokens": first(int(total.sum())), "types": first(int((total > 0).sum()))})
+            bloom = LogFrequencyBloom(k, counts)
+            blob = (None, bloom.bits.tobytes())
+        return pa.table({"kind": [kind], "span": pa.array([span], pa.int64()), "keys": pa.array([blob[0]], pa.binary()), "filter": pa.array([blob[1]], pa.binary()), "tokens": pa.array([int(counts.sum())], pa.int64()), "types": pa.array([len(k)], pa.int64())})
+
+    return texts.select("text").mapInArrow(count, COUNTS).groupBy("kind", "span").applyInArrow(keep, PART)
+
+
+def _answers(docs: DataFrame, model: DataFrame, spans: int) -> DataFrame:
+    def ask(key, t):
+        block = key[0].as_py()
+        _, _, words, pairs = _tokens(t)
+        out = [(kind, span, block, _packed(np.diff(k[lo:hi], prepend=np.uint64(0)), 8)) for (kind, bits), k in zip(KINDS, (np.unique(words), np.unique(pairs)), strict=True) for span, lo, hi in _cut(k, bits, spans)]
+        return pa.table({"kind": [r[0] for r in out], "span": pa.array([r[1] for r in out], pa.int64()), "block": pa.array([r[2] for r in out], pa.int64()), "keys": pa.array([r[3] for r in out], pa.binary())})
+
+    def answer(key, asked, model):
+        if not asked.num_rows:
+            return pa.table({"kind": pa.array([], pa.string()), "span": pa.array([], pa.int64()), "block": pa.array([], pa.int64()), "answer": pa.array([], pa.binary())})
+        kind, row = asked["kind"][0].as_py(), model.to_pylist()[0] if model.num_rows else None
+        bloom = LogFrequencyBloom.of(row["filter"]) if row and kind == "pair" else None
+        known = np.cumsum(_unpacked(row["keys"], 8), dtype=np.uint64) if row and kind == "word" else None
+        total = _unpacked(row["filter"], 6) if known is not None else None
+
+        def one(keys):
+            if kind == "pair":
+                return _packed(bloom.level(keys) if row else np.zeros(len(keys), np.uint8), 1)
+            if not row:
+                return _packed(np.zeros(len(keys), np.uint64), 6)
+            at = np.minimum(np.searchsorted(known, keys), len(known) - 1)
+            return _packed(np.where(known[at] == keys, total[at], 0), 6)
+
+        blobs = [one(np.cumsum(_unpacked(x.as_py(), 8), dtype=np.uint64)) for x in asked["keys"]]
+        return pa.table({"kind": asked["kind"], "span": asked["span"], "block": asked["block"], "answer": pa.array(blobs, pa.binary())})
 
-    return docs.groupBy("block").applyInArrow(ask, CELL).groupBy("kind", "span").applyInArrow(answer, ANSWER)
+    asked = docs.groupBy("block").applyInArrow(ask, ASKED)
+    return asked.groupBy("kind", "span").cogroup(model.select("kind", "span", "keys", "filter").groupBy("kind", "span")).applyInArrow(answer, ANSWER)
 
 
 def scores(docs: DataFrame, held: int = 1, folds: int = 5, block_bytes: int = BLOCK_BYTES) -> DataFrame:
@@ -195,9 +245,10 @@ def scores(docs: DataFrame, held: int = 1, folds: int = 5, block_bytes: int = BL
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = size // block_bytes + 1
     held_out = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(folds)) == held, F.lit(False))
-    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", held_out.alias("held_out"), F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).alias("block"))
-    answers = common.written(_answers(dealt, blocks), "lm-answers")
-    sums = answers.where("kind = 'word'").agg(F.sum("tokens"), F.sum("types")).first()
+    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", held_out.alias("held_out"), F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).alias("block"))
+    model = common.written(train(dealt.where("not held_out"), blocks), "lm-model")
+    answers = common.written(_answers(dealt, model, blocks), "lm-answers")
+    sums = model.where("kind = 'word'").agg(F.sum("tokens"), F.sum("types")).first()
     n, types = sums[0] or 0, sums[1] or 0
     whole = n + 0.5 * (types + 1)
     value = level_values()
@@ -226,7 +277,7 @@ def scores(docs: DataFrame, held: int = 1, folds: int = 5, block_bytes: int = BL
         return pa.table({"doc_id": t["doc_id"], "held_out": out, "n_tokens": pa.array(length, pa.int64()), "n_known": pa.array(per_doc(c > 0).astype(np.int64)), "base_score": grid[0], "grid": lists(grid), "loo": lists(loo)})
 
     kind = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, grid array<double>, loo array<double>"
-    rows = common.written(dealt.groupBy("block").cogroup(answers.drop("tokens", "types").groupBy("block")).applyInArrow(score, kind), "lm-scores")
+    rows = common.written(dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(score, kind), "lm-scores")
     likelihood = rows.agg(*[F.sum(F.col("loo")[i]).alias(f"m{i}") for i in range(len(MIXES))]).first()
     best = max(range(len(MIXES)), key=lambda i: likelihood[i] or 0.0)
     return rows.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", F.col("grid")[best].alias("score"), F.lit(MIXES[best]).alias("mix"))

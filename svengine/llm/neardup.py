@@ -2,7 +2,8 @@
 
 Words are lower-cased and split at ASCII white space; a shingle is WORDS words (all words of a shorter text). Its weight is
 (1 + ln tf) * (1 + ALPHA * idf), with idf between 0 and 1 from document frequencies counted over all documents in a table of
-CELLS hashed cells, whose size doesn't grow. ALPHA is small on purpose: in a large group of near copies the shared shingles are frequent and the
+CELLS hashed cells, whose size doesn't grow: a cell counts the documents with any of its shingles, so a rare shingle's frequency is at least that of its
+cell (with n documents of s shingles about n * s / CELLS), and idf tells frequent shingles from others, not rare ones apart. ALPHA is small on purpose: in a large group of near copies the shared shingles are frequent and the
 differing ones rare, and full idf weights would hide such copies.
 
 Each document gets SAMPLES improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
@@ -10,6 +11,9 @@ folded first, so buckets hold different texts only. Within a bucket pairs aren't
 share a bucket are compared, but for those whose weights, summed by groups of shingles, can't reach the similarity. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
 found by distributed label propagation. A centre's text is replicated for every SALT members, so no task holds a large group.
 
+The samples' random numbers come from pools of 2**POOL_BITS entries, picked by hashes of shingle and sample; in a text of more shingles than that, shingles share
+entries, which leaves each sample's chance of agreeing as it is and correlates samples a little.
+
 Texts without words are one class. Null counts as empty. Rows with the same doc_id are separate rows; if their texts differ, the class of one of them
 counts for both. Rows without a doc_id can't be named by pairs and get no row.
 """
@@ -36,7 +40,8 @@ CELLS, BLOCKS = 1 << 20, 64
 SAMPLES, ROWS, SHUFFLES = 42, 5, 5
 BANDS = SHUFFLES * (SAMPLES // ROWS)
 POOL_BITS = 16
-SALT = 256
+#: Members, and bytes of their texts, that are compared with one copy of a centre on average.
+SALT, SALT_BYTES = 256, 16_000_000
 #: Shingles times samples that are drawn at once, which bounds a worker's memory for very long texts.
 STEP = 1 << 18
 #: A table of (long, long, int) rows up to this count is broadcast: 24 MB.
@@ -73,6 +78,12 @@ def cell(h: np.ndarray) -> np.ndarray:
     return (h >> np.uint64(44)).astype(np.int64)
 
 
+def cells(h: np.ndarray) -> np.ndarray:
+    """The distinct cells of sorted hashes: each counts once a document."""
+    c = cell(h)
+    return c[np.concatenate([[True], c[1:] != c[:-1]])] if len(c) else c
+
+
 def document_frequencies(texts: DataFrame) -> tuple[np.ndarray, int]:
     """Documents with a shingle in each cell, over all rows, and the number of rows. The cells' number bounds what the driver gets."""
     width = CELLS // BLOCKS
@@ -82,7 +93,7 @@ def document_frequencies(texts: DataFrame) -> tuple[np.ndarray, int]:
 
         sums = np.zeros(CELLS, np.uint32)
         for b in batches:
-            got = [cell(shingles(t.as_py())[0]) for t in b.column(0)]
+            got = [cells(shingles(t.as_py())[0]) for t in b.column(0)]
             if got:
                 sums += np.bincount(np.concatenate(got), minlength=CELLS).astype(np.uint32)
         salt, z = TaskContext.get().partitionId() % 16, zstandard.ZstdCompressor(level=1)
@@ -166,22 +177,24 @@ def band_keys(h: np.ndarray, w: np.ndarray) -> np.ndarray:
 
 
 def sketches(texts: DataFrame, idf) -> DataFrame:
-    """doc_id, digest of the text (of nothing, for texts without words), bucket keys (none for these)."""
+    """doc_id, digest of the text (of nothing, for texts without words), bytes of the text, bucket keys (none for texts without words)."""
 
     def run(batches):
         table = idf.value
         for b in batches:
-            digests, keys = [], []
+            digests, sizes, keys = [], [], []
             for t in b.column(1):
                 s = t.as_py() or ""
                 h, w = weighted(s, table)
-                digests.append(hashlib.sha256(s.encode() if len(h) else b"").digest())
+                raw = s.encode()
+                digests.append(hashlib.sha256(raw if len(h) else b"").digest())
+                sizes.append(len(raw))
                 keys.append(band_keys(h, w) if len(h) else np.zeros(0, np.int64))
             at = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(at), pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(digests, pa.binary()), lists], ["doc_id", "digest", "keys"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(digests, pa.binary()), pa.array(sizes, pa.int64()), lists], ["doc_id", "digest", "size", "keys"])
 
-    return texts.mapInArrow(run, "doc_id long, digest binary, keys array<long>")
+    return texts.mapInArrow(run, "doc_id long, digest binary, size long, keys array<long>")
 
 
 def packed_sums(h: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, int, float]:
@@ -219,11 +232,14 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def verified(texts: DataFrame, pairs: DataFrame, idf) -> DataFrame:
-    """pairs (a, b: different documents) with their similarity. Members are compared in groups of about SALT with a copy of a's text."""
-    pairs = common.written(pairs.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(1 << 30))), "neardup-pairs")
-    sizes = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / SALT).cast("int").alias("salts"))
-    members = pairs.join(_small(sizes), "a").select("a", F.col("b").alias("doc_id"), F.expr("cast(pmod(salt, salts) as int)").alias("salt"))
+def verified(texts: DataFrame, pairs: DataFrame, sizes: DataFrame, idf) -> DataFrame:
+    """pairs (a, b: different documents) with their similarity. Members are compared in groups of about SALT, or of SALT_BYTES, with a copy of a's text.
+
+    sizes: id and size of each text.
+    """
+    pairs = common.written(pairs.join(sizes, pairs["b"] == sizes["id"]).select("a", "b", "size", F.pmod(F.xxhash64("b"), F.lit(1 << 30)).alias("salt")), "neardup-pairs")
+    groups = pairs.groupBy("a").agg(F.greatest(F.ceil(F.count(F.lit(1)) / SALT), F.ceil(F.sum("size") / SALT_BYTES)).cast("int").alias("salts"), F.count(F.lit(1)).alias("n"))
+    members = common.looked_up(pairs, groups, "a", "n").select("a", F.col("b").alias("doc_id"), F.expr("cast(pmod(salt, salts) as int)").alias("salt"))
     # only the salts that members have, so that the centre goes nowhere else
     centres = members.select("a", F.col("a").alias("doc_id"), "salt").distinct()
     wanted = members.unionByName(centres)
@@ -240,19 +256,23 @@ def verified(texts: DataFrame, pairs: DataFrame, idf) -> DataFrame:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """id, label (the least id of its component) of every id in edges (a, b)."""
-    both = common.written(edges.select("a", "b").union(edges.select("b", "a")).distinct(), "neardup-edges")
-    labels = common.written(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("label")).withColumnRenamed("a", "id"), "neardup-labels")
+    """id, label (the least id of its component) of every id in edges (a, b). Neither an id with many edges nor a label with many ids gathers them in one task."""
+    both = common.written(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().withColumnRenamed("b", "id"), "neardup-edges")
+    total = both.count()
+    # edges are symmetric, so n is the number of both's rows with this id, too
+    labels = common.written(both.groupBy("a").agg(F.least(F.col("a"), F.min("id")).alias("label"), F.count(F.lit(1)).alias("n")).withColumnRenamed("a", "id"), "neardup-labels")
+    ids = labels.count()
     while True:
-        near = both.join(labels, F.col("b") == F.col("id")).groupBy("a").agg(F.min("label").alias("near"))
-        step = common.written(labels.join(near, F.col("id") == F.col("a")).select("id", F.col("label").alias("was"), F.least("label", "near").alias("label")), "neardup-step")
-        jump = step.select(F.col("id").alias("to"), F.col("label").alias("next"))
-        new = common.written(step.join(jump, F.col("label") == F.col("to")).select("id", "was", F.least("label", "next").alias("label")), "neardup-labels")
+        near = common.looked_up(both, labels, "id", "n", total).groupBy("a").agg(F.min("label").alias("near"))
+        step = common.written(labels.join(near, F.col("id") == F.col("a")).select("id", "n", F.col("label").alias("was"), F.least("label", "near").alias("label")), "neardup-step")
+        shares = step.groupBy("label").agg(F.count(F.lit(1)).alias("m"))
+        jump = shares.join(step.select(F.col("id").alias("to"), F.col("label").alias("next")), F.col("label") == F.col("to")).select("label", "next", "m")
+        new = common.written(common.looked_up(step, jump, "label", "m", ids).select("id", "n", "was", F.least("label", "next").alias("label")), "neardup-labels")
         common.drop(labels)
         common.drop(step)
         if new.where("was <> label").isEmpty():
             return new.select("id", "label")
-        labels = common.written(new.select("id", "label"), "neardup-labels")
+        labels = common.written(new.select("id", "label", "n"), "neardup-labels")
         common.drop(new)
 
 
@@ -267,33 +287,34 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     df, n = document_frequencies(texts)
     idf = spark.sparkContext.broadcast(idf_weights(df, n))
     sketch = common.written(sketches(texts, idf), "neardup-sketches")
-    copies = common.written(sketch.groupBy("digest").agg(F.min("doc_id").alias("copy_of"), F.min(F.struct("doc_id", "keys")).alias("first")), "neardup-copies")
-    rows = copies.select(F.explode("first.keys").alias("key"), F.col("copy_of").alias("id"))
-    shared = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
-    buckets = common.written(rows.join(shared, "key"), "neardup-buckets")
+    copies = sketch.groupBy("digest").agg(F.min("doc_id").alias("copy_of"), F.min(F.struct("doc_id", "size", "keys")).alias("first"), F.count(F.lit(1)).alias("n"))
+    copies = common.written(copies.select("digest", F.col("copy_of").alias("id"), "first.size", "first.keys", "n"), "neardup-copies")
+    sizes = copies.select("id", "size")
+    rows = copies.select(F.explode("keys").alias("key"), "id")
+    shared = common.written(rows.groupBy("key").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("in_key")).where("in_key > 1"), "neardup-keys")
+    buckets = common.written(common.looked_up(rows, shared, "key", "in_key"), "neardup-buckets")
     links = spark.createDataFrame([], "a long, b long, similarity double")
     if not buckets.isEmpty():
-        centre = buckets.groupBy("key").agg(F.min("id").alias("a"))
-        tried = _ordered(buckets.join(centre, "key").where("id <> a").select("a", F.col("id").alias("b")))
-        done = common.written(verified(texts, tried, idf), "neardup-done")
+        tried = _ordered(buckets.where("id <> a").select("a", F.col("id").alias("b")))
+        done = common.written(verified(texts, tried, sizes, idf), "neardup-done")
         links = done.where(F.col("similarity") >= similarity)
-        in_bucket = buckets.join(components(links), "id", "left").select("key", "id", F.coalesce("label", "id").alias("part"))
-        open_ = in_bucket.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("key")
-        rest = common.written(in_bucket.join(open_, "key"), "neardup-open")
+        in_bucket = common.written(buckets.select("key", "id").join(components(links), "id", "left").select("key", "id", F.coalesce("label", "id").alias("part")), "neardup-parts")
+        open_ = in_bucket.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.count(F.lit(1)).alias("in_key")).where("lo < hi").select("key", "in_key")
+        rest = common.written(common.looked_up(in_bucket, open_, "key", "in_key").drop("in_key"), "neardup-open")
         sums = common.written(signatures(texts, common.written(rest.select("id").distinct(), "neardup-ids"), idf), "neardup-sums")
-        keys = copies.select(F.col("copy_of").alias("id"), F.col("first.keys").alias("keys"))
+        keys = copies.select("id", "keys")
         rest = common.written(rest.join(sums, "id").join(keys, "id").withColumn("band", F.array_position("keys", F.col("key"))), "neardup-open")
         other = rest.select("key", F.col("id").alias("b"), F.col("part").alias("part_b"), F.col("sums").alias("sums_b"), F.col("over").alias("over_b"), F.col("total").alias("total_b"), F.col("keys").alias("keys_b"))
         # two texts that share several buckets are a pair in the first of them only
         first = "band = array_position(zip_with(keys, keys_b, (x, y) -> x = y), true)"
         met = rest.withColumnRenamed("id", "a").join(other.withColumnRenamed("key", "key_b"), F.expr(f"key = key_b and part < part_b and {first} and {may_reach(similarity)}"))
         new = _ordered(met.select("a", "b")).join(done, ["a", "b"], "left_anti")
-        more = verified(texts, new, idf).where(F.col("similarity") >= similarity)
+        more = verified(texts, new, sizes, idf).where(F.col("similarity") >= similarity)
         links = common.written(links.unionByName(more), "neardup-links")
-    labels = components(links)
-    copies = copies.join(labels, F.col("copy_of") == F.col("id"), "left").select("digest", "copy_of", F.coalesce("label", "copy_of").alias("class_id"))
-    out = common.written(sketch.select("doc_id", "digest").join(copies, "digest").select("doc_id", "copy_of", "class_id"), "neardup-classes")
-    return out.join(out.groupBy("class_id").agg(F.count(F.lit(1)).alias("class_size")), "class_id").select("doc_id", "copy_of", "class_id", "class_size")
+    copies = common.written(copies.select("digest", "id", "n").join(components(links), "id", "left").select("digest", "id", "n", F.coalesce("label", "id").alias("class_id")), "neardup-copies")
+    totals = copies.groupBy("class_id").agg(F.sum("n").alias("class_size"), F.count(F.lit(1)).alias("texts"))
+    copies = common.written(common.looked_up(copies, totals, "class_id", "texts").select("digest", F.col("id").alias("copy_of"), "class_id", "class_size", "n"), "neardup-classes")
+    return common.looked_up(sketch.select("doc_id", "digest"), copies, "digest", "n").select("doc_id", "copy_of", "class_id", "class_size")
 
 
 def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,7 +8,8 @@ scores to 0..1, so that predicted = 1 means a score of at least one half.
 Only the text is used. The weights' fit takes at most SAMPLE rows of each label, those with the smallest hashes, and PAIRS
 pairs for each row of the more frequent label: a bounded sample on the driver. The cut and the slope come from all training rows,
 by counts and sums that the executors make. Scores cover every row and whole text. Null text counts as empty;
-repeated doc_ids are scored row by row. Where a label has no row, all scores are 1.
+repeated doc_ids are scored row by row, and so are rows without one, which aren't held out and have no label. Of labels of one doc_id that differ, 0 counts.
+Where a label has no row, all scores are 1; an empty table gives no rows. A text's features take time and memory in proportion to its length.
 """
 
 from __future__ import annotations
@@ -60,7 +61,8 @@ def features(text: str | None) -> list[float]:
 
 def _wanted(docs: DataFrame, labels: DataFrame, held: int | None) -> DataFrame:
     """Training rows: doc_id, text, label. held: the remainder of crc32(doc_id) mod 3 that is left out."""
-    kept = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).where("label in (0, 1) and doc_id is not null").dropDuplicates(["doc_id"])
+    kept = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).where("label in (0, 1) and doc_id is not null")
+    kept = kept.groupBy("doc_id").agg(F.min("label").alias("label"))
     if held is not None:
         kept = kept.where(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) != held)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(dedup._small(kept), "doc_id")
@@ -162,5 +164,5 @@ def score(docs: DataFrame, model: dict, names: tuple[str, str] = ("score", "pred
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents")
     model = train(docs, common.table(spark, sf_dir, "labels"), held=1)
-    held = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) == 1
+    held = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(3)) == 1, F.lit(False))
     return score(docs.select("doc_id", "text"), model).select("doc_id", held.alias("held_out"), "score", "predicted")

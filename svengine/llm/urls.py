@@ -7,6 +7,10 @@ contexts are its marginals, mixed in by Witten-Bell smoothing. A url's score is
 its length. A fifth of the labelled urls is kept out of the counts and calibrates the score to a probability; other
 urls are allowed if it is at least one half.
 
+The alphabet is reduced so that the tables stay small: all digits are one symbol, all other marks and bytes above ASCII another, and letters lose their
+case. Urls that differ in these only have equal scores.
+
+Repeated rows are judged one by one; pages' other columns are ignored; an empty table gives no rows; a url of any length is scored whole.
 Null urls and urls without :// have an empty host and path, fit no rule and are scored as they are (null as empty). Where one
 class has no labelled url the score is 0 for all, and urls without a rule are allowed.
 """
