@@ -7,7 +7,8 @@ cell (with n documents of s shingles about n * s / CELLS), and idf tells frequen
 differing ones rare, and full idf weights would hide such copies.
 
 Each document gets SAMPLES improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
-folded first, so buckets hold different texts only. Within a bucket pairs aren't listed: each member is compared with one centre; then the pairs of different components that
+folded first, so buckets hold different texts only. Within a bucket pairs aren't listed. Each text is compared with the least centre (least id) of its buckets, and
+each bucket's centre with members that these links don't join to it; then the pairs of different components that
 share a bucket are compared, but for those whose weights, summed by groups of shingles, can't reach the similarity. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
 found by distributed label propagation. A centre's text is replicated for every SALT members, so no task holds a large group.
 
@@ -240,6 +241,7 @@ def verified(texts: DataFrame, pairs: DataFrame, sizes: DataFrame, idf) -> DataF
     pairs = common.written(pairs.join(sizes, pairs["b"] == sizes["id"]).select("a", "b", "size", F.pmod(F.xxhash64("b"), F.lit(1 << 30)).alias("salt")), "neardup-pairs")
     groups = pairs.groupBy("a").agg(F.greatest(F.ceil(F.count(F.lit(1)) / SALT), F.ceil(F.sum("size") / SALT_BYTES)).cast("int").alias("salts"), F.count(F.lit(1)).alias("n"))
     members = common.looked_up(pairs, groups, "a", "n").select("a", F.col("b").alias("doc_id"), F.expr("cast(pmod(salt, salts) as int)").alias("salt"))
+    members = common.written(members, "neardup-members")
     # only the salts that members have, so that the centre goes nowhere else
     centres = members.select("a", F.col("a").alias("doc_id"), "salt").distinct()
     wanted = members.unionByName(centres)
@@ -280,6 +282,11 @@ def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def _parts(buckets: DataFrame, links: DataFrame) -> DataFrame:
+    """buckets with the component of each id."""
+    return common.written(buckets.join(components(links), "id", "left").withColumn("part", F.coalesce("label", "id")).drop("label"), "neardup-parts")
+
+
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, copy_of (the least doc_id with an equal text), class_id (the least doc_id of its class), class_size of every row."""
     spark = docs.sparkSession
@@ -295,10 +302,17 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     buckets = common.written(common.looked_up(rows, shared, "key", "in_key"), "neardup-buckets")
     links = spark.createDataFrame([], "a long, b long, similarity double")
     if not buckets.isEmpty():
-        tried = _ordered(buckets.where("id <> a").select("a", F.col("id").alias("b")))
+        # a pair for each text first: with the least centre of its buckets
+        tried = buckets.groupBy("id").agg(F.min("a").alias("a")).where("id <> a").select("a", F.col("id").alias("b"))
         done = common.written(verified(texts, tried, sizes, idf), "neardup-done")
+        parts = _parts(buckets, done.where(F.col("similarity") >= similarity))
+        # then each bucket's centre with those of its members that aren't in its component yet
+        heads = parts.where("id = a").select("key", F.col("part").alias("part_a"), "in_key")
+        met = common.looked_up(parts.drop("in_key"), heads, "key", "in_key").where("part <> part_a")
+        tried = _ordered(met.select("a", F.col("id").alias("b"))).join(done, ["a", "b"], "left_anti")
+        done = common.written(done.unionByName(verified(texts, tried, sizes, idf)), "neardup-done")
         links = done.where(F.col("similarity") >= similarity)
-        in_bucket = common.written(buckets.select("key", "id").join(components(links), "id", "left").select("key", "id", F.coalesce("label", "id").alias("part")), "neardup-parts")
+        in_bucket = _parts(buckets, links).select("key", "id", "part")
         open_ = in_bucket.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.count(F.lit(1)).alias("in_key")).where("lo < hi").select("key", "in_key")
         rest = common.written(common.looked_up(in_bucket, open_, "key", "in_key").drop("in_key"), "neardup-open")
         sums = common.written(signatures(texts, common.written(rest.select("id").distinct(), "neardup-ids"), idf), "neardup-sums")
