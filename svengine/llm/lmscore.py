@@ -137,6 +137,12 @@ def _unpacked(b: bytes, width: int) -> np.ndarray:
     return out.reshape(-1).view("<u8")
 
 
+def _distinct(keys: np.ndarray) -> np.ndarray:
+    """Sorted distinct keys, by a plain sort: numpy's unique goes through a hash table that misses the caches."""
+    k = np.sort(keys)
+    return k[np.concatenate([[True], k[1:] != k[:-1]])] if len(k) else k
+
+
 def _tokens(t: pa.Table):
     """Documents' positions and their tokens: (document of each token, word hashes, pair hashes)."""
     hashes = [token_hashes(x.as_py()) for x in t["text"]]
@@ -213,7 +219,7 @@ def _answers(docs: DataFrame, model: DataFrame, spans: int) -> DataFrame:
     def ask(key, t):
         block = key[0].as_py()
         _, _, words, pairs = _tokens(t)
-        out = [(kind, span, block, _packed(np.diff(k[lo:hi], prepend=np.uint64(0)), 8)) for (kind, bits), k in zip(KINDS, (np.unique(words), np.unique(pairs)), strict=True) for span, lo, hi in _cut(k, bits, spans)]
+        out = [(kind, span, block, _packed(np.diff(k[lo:hi], prepend=np.uint64(0)), 8)) for (kind, bits), k in zip(KINDS, (_distinct(words), _distinct(pairs)), strict=True) for span, lo, hi in _cut(k, bits, spans)]
         return pa.table({"kind": [r[0] for r in out], "span": pa.array([r[1] for r in out], pa.int64()), "block": pa.array([r[2] for r in out], pa.int64()), "keys": pa.array([r[3] for r in out], pa.binary())})
 
     def answer(key, asked, model):
@@ -259,7 +265,7 @@ def scores(docs: DataFrame, held: int = 1, folds: int = 5, block_bytes: int = BL
         order = right.sort_by([("kind", "ascending"), ("span", "ascending")])
         kinds = order["kind"].to_pylist()
         got = lambda kind, width: np.concatenate([_unpacked(x.as_py(), width) for x, k in zip(order["answer"], kinds, strict=True) if k == kind])
-        lookup = lambda keys, found: found[np.searchsorted(np.unique(keys), keys)]
+        lookup = lambda keys, found: found[np.searchsorted(_distinct(keys), keys)]
         c = lookup(words, got("word", 6)).astype(np.float64)
         cp = value[lookup(pairs, got("pair", 1)).astype(np.int64)]
         last = np.cumsum(length) - 1
