@@ -42,7 +42,7 @@ SAMPLES, ROWS, SHUFFLES = 42, 5, 5
 BANDS = SHUFFLES * (SAMPLES // ROWS)
 POOL_BITS = 16
 #: Members, and bytes of their texts, that are compared with one copy of a centre on average.
-SALT, SALT_BYTES = 256, 16_000_000
+SALT, SALT_BYTES = 64, 16_000_000
 #: Shingles times samples that are drawn at once, which bounds a worker's memory for very long texts.
 STEP = 1 << 18
 #: A table of (long, long, int) rows up to this count is broadcast: 24 MB.
