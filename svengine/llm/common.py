@@ -95,7 +95,8 @@ def in_ranges(rows: DataFrame, key: str, size: Column, most: int, out: str = "pa
     size asks for. So driver and plan hold COARSE bounds at any input size. Ranges are even as far as keys are evenly spread inside each.
     """
     shares = [i / COARSE for i in range(1, COARSE)]
-    bounds = np.array(sorted(set(rows.select(F.percentile_approx(key, shares, 20 * COARSE).alias("b")).first()["b"] or [])), np.int64)
+    bounds, sum_ = rows.select(F.percentile_approx(key, shares, 20 * COARSE), F.sum(size)).first()
+    bounds = np.array(sorted(set((bounds or [])[:: max(1, COARSE * most // max(1, sum_ or 0))])), np.int64)  # fewer where fewer ranges are asked for
     dealt = rows.withColumn("_coarse", _place(key, bounds))
     got = dealt.groupBy("_coarse").agg(F.min(key).alias("lo"), F.max(key).alias("hi"), F.sum(size).alias("size")).orderBy("_coarse").collect()  # COARSE rows at most
     n = len(bounds) + 1
