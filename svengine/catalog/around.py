@@ -113,12 +113,20 @@ def gate_gaps(spark, sf_dir):
 _SP = f"(SELECT idx, re*re AS p FROM {O.SUPPLIER})"
 
 
-@query(f"SELECT idx, rank() OVER (ORDER BY round(p*1e6) DESC) AS rnk, dense_rank() OVER (ORDER BY round(p*1e6) DESC) AS dense, ntile(4) OVER (ORDER BY round(p*1e6) DESC, idx) AS tile FROM {_SP} WHERE idx < 64")
+@query(f"SELECT idx, rank() OVER (ORDER BY round(p*1e6) DESC) AS rnk, dense_rank() OVER (ORDER BY round(p*1e6) DESC) AS dense, ntile(4) OVER (ORDER BY round(p*1e6) DESC, idx) AS tile FROM {_SP}")
 def outcome_ranks(spark, sf_dir):
-    """Ranks within one chunk of 64 outcomes."""
-    p = M.probabilities(supplier(spark, sf_dir)[0]).where("idx < 64").withColumn("r", F.round(F.col("p") * 1e6))
-    w = Window.partitionBy(F.shiftright("idx", 6))
-    return p.select("idx", F.rank().over(w.orderBy(F.desc("r"))).cast("long").alias("rnk"), F.dense_rank().over(w.orderBy(F.desc("r"))).cast("long").alias("dense"), F.ntile(4).over(w.orderBy(F.desc("r"), "idx")).cast("long").alias("tile"))
+    """Ranks of all outcomes without a window over all of them: over the distinct rounded probabilities (a million at most), over runs of 256 indices with the same one, then in each run."""
+    p = M.probabilities(supplier(spark, sf_dir)[0]).select("idx", F.round(F.col("p") * 1e6).alias("r"), F.shiftright("idx", 8).alias("run"))
+    before = lambda w: w.rowsBetween(Window.unboundedPreceding, -1)
+    kinds = p.groupBy("r").agg(F.count(F.lit(1)).alias("n"))
+    by = Window.orderBy(F.desc("r"))
+    kinds = kinds.select("r", F.coalesce(F.sum("n").over(before(by)), F.lit(0)).alias("above"), F.row_number().over(by).alias("dense"), F.sum("n").over(Window.partitionBy()).alias("total"))
+    runs = p.groupBy("r", "run").agg(F.count(F.lit(1)).alias("n"))
+    runs = runs.select("r", "run", F.coalesce(F.sum("n").over(before(Window.partitionBy("r").orderBy("run"))), F.lit(0)).alias("earlier"))
+    out = p.withColumn("k", F.row_number().over(Window.partitionBy("r", "run").orderBy("idx")) - 1).join(runs, ["r", "run"]).join(kinds, "r")
+    out = out.withColumns({"at": F.col("above") + F.col("earlier") + F.col("k"), "size": F.expr("total div 4"), "more": F.expr("total % 4")})
+    tile = F.expr("if(at < more * (size + 1), at div (size + 1), more + (at - more * (size + 1)) div greatest(size, 1)) + 1")
+    return out.select("idx", (F.col("above") + 1).cast("long").alias("rnk"), F.col("dense").cast("long").alias("dense"), tile.cast("long").alias("tile"))
 
 
 @query(f"SELECT idx, CAST(sum(CAST(floor(p*1e9 + 0.5001) AS BIGINT)) OVER (ORDER BY idx) AS BIGINT) AS mass FROM (SELECT idx, re*re + im*im AS p FROM {O.ORDERS})")
@@ -137,9 +145,9 @@ def topk_per_label(spark, sf_dir):
     return e.withColumn("r", F.row_number().over(w)).where("r <= 3").select("label", "vec_id")
 
 
-_A, _B = f"SELECT idx FROM {O.CUSTOMER} WHERE re <> 0 AND idx % 3 = 0", f"SELECT idx FROM {O.SUPPLIER} WHERE re <> 0"
+_A, _B = f"SELECT idx FROM {O.CUSTOMER} WHERE re <> 0", f"SELECT idx FROM {O.SUPPLIER} WHERE re <> 0"
 for _n, _op, _f in (("support_union", "UNION", lambda a, b: a.union(b).distinct()), ("support_intersect", "INTERSECT", lambda a, b: a.intersect(b)), ("support_except", "EXCEPT", lambda a, b: a.subtract(b))):
-    query(f"{_A} {_op} {_B}", _n)(lambda s, d, f=_f: f(customer(s, d)[0].where("re <> 0 and idx % 3 = 0").select("idx"), supplier(s, d)[0].where("re <> 0").select("idx")))
+    query(f"{_A} {_op} {_B}", _n)(lambda s, d, f=_f: f(customer(s, d)[0].where("re <> 0").select("idx"), supplier(s, d)[0].where("re <> 0").select("idx")))
 
 
 @query("SELECT i AS idx, '|' || lpad(bin(i), 6, '0') || '>' AS label FROM range(64) t(i)")
@@ -194,10 +202,10 @@ def udtf_qft_gates(spark, sf_dir):
     return spark.sql("SELECT cast(ord AS int) AS ord, kind, q0 FROM qft_gates(6)")
 
 
-@query(f"SELECT count(*) AS outcomes, {O.u6('sum(re*re)')} AS mass_u6 FROM {O.ORDERS} WHERE idx < 1000")
+@query(f"SELECT count(*) AS outcomes, {O.u6('sum(re*re)')} AS mass_u6 FROM {O.ORDERS}")
 def sql_surface(spark, sf_dir):
     register_sql(spark, {"orders_register": orders(spark, sf_dir)[0]})
-    return spark.sql("SELECT count(*) AS outcomes, CAST(floor(sum(p) * 1e6 + 0.5001) AS BIGINT) AS mass_u6 FROM orders_register_p WHERE idx < 1000")
+    return spark.sql("SELECT count(*) AS outcomes, CAST(floor(sum(p) * 1e6 + 0.5001) AS BIGINT) AS mass_u6 FROM orders_register_p")
 
 
 @query("SELECT 0::BIGINT AS differing_chunks")

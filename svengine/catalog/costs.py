@@ -13,7 +13,7 @@ from ..plans.transpile import plan_blocks
 from ..sources import workloads as W
 from . import oracle as O
 from . import query
-from .plans import _one_user
+from .plans import _FEED, each_circuit
 from .runs import blocked
 from .states import orders, table
 
@@ -63,13 +63,19 @@ def exchange_cost_qft(spark, sf_dir):
     return spark.createDataFrame([("per_gate_pair", base["exchanges"], base["bytes"]), ("blocked_fused", plan["exchanges"], plan["bytes"])], "method string, exchanges int, bytes long")
 
 
-@query("""WITH k AS (SELECT CASE event_type WHEN 'view' THEN 'h' WHEN 'click' THEN 'u3' WHEN 'purchase' THEN 'cx' WHEN 'error' THEN 'u1' ELSE 'swap' END AS kind,
-    CAST(json_extract(props, '$.k') AS BIGINT) % 6 AS q0, (CAST(json_extract(props, '$.k') AS BIGINT) + 1 + user_id % 5) % 6 AS q1 FROM events WHERE user_id = (SELECT min(user_id) FROM events)),
-    t AS (SELECT CASE kind WHEN 'u1' THEN -1 WHEN 'cx' THEN q1 WHEN 'swap' THEN greatest(q0, q1) ELSE q0 END AS top FROM k)
-    SELECT CAST(count(*) FILTER (top >= 3) AS BIGINT) AS exchanges, CAST(count(*) FILTER (top >= 3) * 8 AS BIGINT) AS chunk_moves, CAST(count(*) FILTER (top >= 3) * 1024 AS BIGINT) AS bytes FROM t""")
+@query(f"""WITH t AS (SELECT user_id, CASE kind WHEN 'u1' THEN -1 WHEN 'cx' THEN q1 WHEN 'swap' THEN greatest(q0, q1) ELSE q0 END AS top FROM ({_FEED}))
+    SELECT user_id AS circuit_id, count(*) FILTER (top >= 3) AS exchanges, CAST(count(*) FILTER (top >= 3) * 8 AS BIGINT) AS chunk_moves, CAST(count(*) FILTER (top >= 3) * 1024 AS BIGINT) AS bytes FROM t GROUP BY user_id""")
 def exchange_cost_events(spark, sf_dir):
-    t = K.totals(K.baseline_cost(_one_user(spark, sf_dir), 3, 4))
-    return spark.createDataFrame([(t["exchanges"], t["chunk_moves"], t["bytes"])], "exchanges long, chunk_moves long, bytes long")
+    """Per-gate costs of every user's circuit."""
+    cost = lambda c: [tuple(K.totals(K.baseline_cost(c, 3, 4))[k] for k in ("exchanges", "chunk_moves", "bytes"))]
+    return each_circuit(W.events_gates(spark, sf_dir), 6, cost, "exchanges long, chunk_moves long, bytes long")
+
+
+@query("SELECT * FROM (VALUES ('pair', CAST(7 * 128 * 2048 AS BIGINT)), ('copy', CAST(2 * 7 * 128 * 2048 AS BIGINT))) v(strategy, bytes)")
+def exchange_cost_copy(spark, sf_dir):
+    """The full-copy exchange sends every chunk to two tasks."""
+    c = W.qft(14, with_swaps=False)
+    return spark.createDataFrame([(s, K.totals(K.baseline_cost(c, 7, 4, s))["bytes"]) for s in ("pair", "copy")], "strategy string, bytes long")
 
 
 @query("SELECT * FROM (VALUES ('full_chunk', CAST(16 * 16384 AS BIGINT)), ('minimal', CAST(16 * 16384 * 7 / 8 AS BIGINT))) v(wire, bytes)")
@@ -81,9 +87,11 @@ def remap_wire_bytes(spark, sf_dir):
     return spark.createDataFrame([(w, K.totals(K.blocked_cost(p, 4, w))["bytes"]) for w in ("full_chunk", "minimal")], "wire string, bytes long")
 
 
-@query("SELECT * FROM (VALUES ('cpu_load', 'disk read'), ('cpu_to_fast', 'decode to worker'), ('fast_load', 'pass in memory'), ('fast_to_fast', 'local shuffle'), ('node_to_node', 'remote shuffle')) v(movement, in_spark)")
+@query("SELECT * FROM (VALUES ('in_chunk', 3, CAST(0 AS BIGINT)), ('in_space', 2, 8), ('cross_space', 1, 4)) v(movement, steps, chunk_moves)")
 def movement_kinds(spark, sf_dir):
-    return spark.createDataFrame([("cpu_load", "disk read"), ("cpu_to_fast", "decode to worker"), ("fast_load", "pass in memory"), ("fast_to_fast", "local shuffle"), ("node_to_node", "remote shuffle")], "movement string, in_spark string")
+    """The worked example on two spaces: three sections inside chunks, and remaps of which the second one crosses spaces."""
+    t = _cost_df(spark, K.blocked_cost(plan_blocks(W.worked_example(), 3, restore_order=False), 2))
+    return t.groupBy("movement").agg(F.count(F.lit(1)).cast("int").alias("steps"), F.sum("chunk_moves").alias("chunk_moves"))
 
 
 @query("SELECT * FROM (VALUES ('cpu_load', 0::BIGINT), ('cpu_to_fast', 12), ('fast_load', 28), ('fast_to_fast', 8), ('node_to_node', 4)) v(movement, chunk_moves)")
@@ -93,33 +101,33 @@ def movement_profile(spark, sf_dir):
     return spark.createDataFrame(list(K.movement_profile(p, 2, 2).items()), "movement string, chunk_moves long")
 
 
-@query("SELECT 'sections' AS kind, CAST(2 * 4 * 3 AS BIGINT) AS chunk_moves UNION ALL SELECT 'per_gate', 2 * 4 * 7 UNION ALL SELECT 'in_place', 0")
-def tier_traffic(spark, sf_dir):
-    c = W.worked_example()
-    t = K.tier_traffic(plan_blocks(c, 3, restore_order=False), c, 4)
-    return spark.createDataFrame(list(t.items()), "kind string, chunk_moves long")
+#: A Fourier circuit of n qubits on 2^p spaces, a chunk each: gate by gate it exchanges for each of the p high Hadamards, rewritten it remaps twice.
+_EXCHANGES = "(VALUES ('per_gate'), ('blocked')) e(method)"
 
 
 def _model_sql(rows: str) -> str:
-    return f"SELECT n, m, {O.u6('11*40*(pow(2, n)/m)*32/1e11 + CASE WHEN m > 1 THEN 16*pow(2, n)*ex/m/1e10 ELSE 0 END')} AS time_u6, method FROM {rows}"
+    moved = "16*pow(2, n)*(CASE WHEN method = 'per_gate' THEN p WHEN p > 0 THEN 2 ELSE 0 END)"
+    return f"SELECT n, CAST(pow(2, p) AS INT) AS m, method, {O.u6('1e6*(n*(n + 1)/2*(pow(2, n)/pow(2, p))*32/1e11 + CASE WHEN p > 0 THEN ' + moved + '/pow(2, p)/1e10 ELSE 0 END)')} AS time_u6 FROM {rows}, {_EXCHANGES}"
 
 
 def _model(spark, pairs):
-    rows = [(n, m, K.time_model(n, 21, m, 440, 7, 16 * 2**n * ex, 1e11, 1e10), method) for n, m in pairs for method, ex in (("per_gate", 40), ("blocked", 7))]
-    return spark.createDataFrame(rows, "n int, m int, t double, method string").select("n", "m", u6("t").alias("time_u6"), "method")
-
-
-_EX = "(VALUES ('per_gate', 40), ('blocked', 7)) e(method, ex)"
+    """Microseconds from the plans' own gates and bytes."""
+    rows = []
+    for n, p in pairs:
+        c, nc, m = W.qft(n, with_swaps=False), n - p, 2**p
+        moved = {"per_gate": K.totals(K.baseline_cost(c, nc, m))["bytes"], "blocked": K.totals(K.blocked_cost(plan_blocks(c, nc, diagonal_free=True, idle_first=False), m))["bytes"]}
+        rows += [(n, m, method, 1e6 * K.time_model(n, m, len(c.gates), x, 1e11, 1e10)) for method, x in moved.items()]
+    return spark.createDataFrame(rows, "n int, m int, method string, t double").select("n", "m", "method", u6("t").alias("time_u6"))
 
 
-@query(_model_sql(f"(SELECT CAST(30 AS INT) AS n, CAST(m AS INT) AS m, method, ex FROM (VALUES (1), (2), (4), (8), (16)) v(m), {_EX})"))
+@query(_model_sql("(SELECT CAST(14 AS INT) AS n, p FROM range(5) v(p))"))
 def strong_scaling_model(spark, sf_dir):
-    return _model(spark, [(30, m) for m in (1, 2, 4, 8, 16)])
+    return _model(spark, [(14, p) for p in range(5)])
 
 
-@query(_model_sql(f"(SELECT CAST(30 + p AS INT) AS n, CAST(pow(2, p) AS INT) AS m, method, ex FROM range(5) v(p), {_EX})"))
+@query(_model_sql("(SELECT CAST(10 + p AS INT) AS n, p FROM range(5) v(p))"))
 def weak_scaling_model(spark, sf_dir):
-    return _model(spark, [(30 + p, 2**p) for p in range(5)])
+    return _model(spark, [(10 + p, p) for p in range(5)])
 
 
 @query("SELECT CAST(n AS INT) AS n, CASE WHEN n <= 29 THEN 'one_fast' WHEN n <= 32 THEN 'all_fast' WHEN n <= 35 THEN 'fast_and_slow' ELSE 'too_large' END AS step FROM range(25, 37) t(n)")

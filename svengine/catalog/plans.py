@@ -89,60 +89,98 @@ def restore_order(spark, sf_dir):
     return mismatches(blocked(spark, c, 3), blocked(spark, c, 3, restore_order=False))
 
 
-_VARIANTS = {"plain": {}, "diagonal_free": {"diagonal_free": True}, "control_free": {"control_free": True}, "commuting": {"commute_diagonal": True}, "spare_slot": {"resident_cap": 5}, "unfused": {"fuse_remaps": False}, "budget_1": {"max_swaps": 2}}
+_VARIANTS = {"plain": {}, "diagonal_free": {"diagonal_free": True}, "control_free": {"control_free": True}, "commuting": {"commute_diagonal": True, "diagonal_free": True}, "spare_slot": {"resident_cap": 3}, "unfused": {"fuse_remaps": False}, "budget": {"max_swaps": 2}}
 
 
-@query("SELECT * FROM (VALUES " + ", ".join(f"('{v}', true)" for v in _VARIANTS) + ") v(variant, all_gates_once)")
+def _planned(name: str, c: Circuit, nc: int, **o):
+    p = T.plan_blocks(c, nc, idle_first=False, restore_order=False, **o)
+    return name, len(p.blocks), len(p.remaps), p.n_swaps, sum(len(s.steps) for s in p.sections)
+
+
+_PLANNED = "sections int, remaps int, swaps int, gates int"
+
+
+@query("SELECT * FROM (VALUES ('plain', 2, 1, 4, 9), ('diagonal_free', 2, 1, 4, 9), ('control_free', 2, 2, 3, 9), ('commuting', 2, 1, 4, 9), ('spare_slot', 3, 2, 4, 9), ('unfused', 2, 4, 4, 9), ('budget', 3, 2, 4, 9)) v(variant, sections, remaps, swaps, gates)")
 def rewriter_variants(spark, sf_dir):
-    c = W.qft(10)
-    rows = []
-    for name, o in _VARIANTS.items():
-        p = T.plan_blocks(c, 6, **o)
-        rows.append((name, sorted(s.ord for x in p.sections for s in x.steps) == list(range(len(c.gates)))))
-    return spark.createDataFrame(rows, "variant string, all_gates_once boolean")
+    """Sections, remaps and swaps of three chains of cx on two halves of eight qubits, in chunks of four, as derived by hand.
 
+    Plainly the lower half runs, four pairs are swapped, and the upper half runs. Without controls only targets need be inside: 5 comes in beside 1, 2, 3, then 6 and 7.
+    With a slot spared, or two swaps at a time, the upper half comes in two goes.
+    """
+    return spark.createDataFrame([_planned(v, W.two_halves(8), 4, **o) for v, o in _VARIANTS.items()], f"variant string, {_PLANNED}")
 
-@query("SELECT * FROM (VALUES " + ", ".join(f"('{c}', true)" for c in T.CHOOSERS) + ") v(chooser, fewer_exchanges)")
+
+@query("SELECT c AS chooser, 2 AS sections, 1 AS remaps, 4 AS swaps, 9 AS gates FROM (VALUES " + ", ".join(f"('{c}')" for c in T.CHOOSERS) + ") v(c)")
 def chooser_comparison(spark, sf_dir):
-    """Every chooser needs fewer remaps for a volume circuit than the per-gate run needs exchanges."""
-    c = W.quantum_volume(spark, sf_dir, 8)
-    base = sum(classify(g, 8, 4, 16) != "in_chunk" for g in c.gates)
-    return spark.createDataFrame([(ch, len(T.plan_blocks(c, 4, chooser=ch).remaps) < base) for ch in T.CHOOSERS], "chooser string, fewer_exchanges boolean")
+    """Every chooser finds the two sections of the two halves: the lower one's six gates, one remap of four pairs, the upper one's three."""
+    return spark.createDataFrame([_planned(ch, W.two_halves(8), 4, chooser=ch) for ch in T.CHOOSERS], f"chooser string, {_PLANNED}")
 
 
-@query("SELECT * FROM (VALUES (2, true), (3, true), (4, true)) v(budget, kept)")
+@query("SELECT CAST(b AS INT) AS budget, r AS restored, CAST(b AS INT) AS largest, 0::BIGINT AS lost FROM (VALUES (2), (3), (4)) v(b), (VALUES (true), (false)) w(r)")
 def swap_budget(spark, sf_dir):
-    c = W.quantum_volume(spark, sf_dir, 8)
-    rows = [(b, all(len(r.swaps) <= b for r in T.plan_blocks(c, 4, max_swaps=b, restore_order=False).remaps)) for b in (2, 3, 4)]
-    return spark.createDataFrame(rows, "budget int, kept boolean")
+    """The largest remap of a volume circuit's plan, with and without the restoring remaps, and gates that the plan lost."""
+    c, rows = W.quantum_volume(spark, sf_dir, 8), []
+    for b in (2, 3, 4):
+        for r in (True, False):
+            p = T.plan_blocks(c, 4, max_swaps=b, restore_order=r)
+            rows.append((b, r, max(len(x.swaps) for x in p.remaps), len(c.gates) - sum(len(x.steps) for x in p.sections)))
+    return spark.createDataFrame(rows, "budget int, restored boolean, largest int, lost long")
 
 
-def _stats(spark, c: Circuit, nc: int, **o):
-    p = T.plan_blocks(c, nc, restore_order=False, **o)
-    rows = [(i, s.ord, s.gate.kind) for i, b in enumerate(p.blocks) for s in b.steps]
-    df = spark.createDataFrame(rows, "section int, ord int, kind string")
-    return df.groupBy("kind").agg(F.count(F.lit(1)).alias("gates"))
+@query("SELECT 'two_halves' AS circuit, * FROM (VALUES (0, 0, 6), (1, 4, 3)) v(section, swaps, gates)")
+def block_stats_qv(spark, sf_dir):
+    """Gates of each section, and swaps before it."""
+    return _sections(spark, "two_halves", W.two_halves(8), 4)
 
 
-@query("SELECT * FROM (VALUES ('u3', 320), ('cx', 120)) v(kind, gates)")
-def block_stats_qv(spark, sf_dir):
-    return _stats(spark, W.quantum_volume(spark, sf_dir, 8), 4)
+def _sections(spark, name: str, c: Circuit, nc: int, **o):
+    rows, swaps = [], 0
+    for s in T.plan_blocks(c, nc, restore_order=False, idle_first=False, **o).sections:
+        if s.op == "block":
+            rows.append((name, len({x[1] for x in rows}), swaps, len(s.steps)))
+        swaps = len(s.swaps) if s.op == "remap" else 0
+    return spark.createDataFrame(rows, "circuit string, section int, swaps int, gates int")
 
 
-@query("SELECT * FROM (VALUES ('h', 10), ('cp', 45), ('swap', 5)) v(kind, gates)")
+@query("""WITH g AS (SELECT CASE WHEN q >= 7 THEN 0 ELSE 1 END AS section, q + 1 AS gates FROM range(14) t(q))
+    SELECT 'fourier' AS circuit, section, 7 AS swaps, CAST(sum(gates) AS INT) AS gates FROM g GROUP BY section""")
 def block_stats_qft(spark, sf_dir):
-    return _stats(spark, W.qft(10), 6)
+    """A Fourier circuit of 14 qubits in chunks of 7, diagonal gates free: a Hadamard and q phases for each qubit q, the upper seven qubits first."""
+    return _sections(spark, "fourier", W.qft(14, with_swaps=False), 7, diagonal_free=True)
 
 
-def _one_user(spark, sf_dir):
-    g = W.events_gates(spark, sf_dir)
-    user = g.agg(F.min("circuit_id")).first()[0]
-    return W.circuit_from_df(g.where(F.col("circuit_id") == user), 6)
+_FEED = """SELECT user_id, CASE event_type WHEN 'view' THEN 'h' WHEN 'click' THEN 'u3' WHEN 'purchase' THEN 'cx' WHEN 'error' THEN 'u1' ELSE 'swap' END AS kind,
+    CAST(json_extract(props, '$.k') AS BIGINT) % 6 AS q0, (CAST(json_extract(props, '$.k') AS BIGINT) + 1 + user_id % 5) % 6 AS q1 FROM events"""
 
 
-@query("SELECT CASE event_type WHEN 'view' THEN 'h' WHEN 'click' THEN 'u3' WHEN 'purchase' THEN 'cx' WHEN 'error' THEN 'u1' ELSE 'swap' END AS kind, count(*) AS gates FROM events WHERE user_id = (SELECT min(user_id) FROM events) GROUP BY 1")
+def each_circuit(gates, n: int, result, kind: str):
+    """result(circuit) -> rows, for every circuit of a gate table, where its gates meet. A circuit is small; no circuit reaches the driver."""
+    import pyarrow as pa
+    from pyspark.sql.types import _parse_datatype_string
+
+    names = _parse_datatype_string(f"circuit_id long, {kind}").names
+
+    def run(key, t):
+        rows = t.sort_by("ord").to_pylist()
+        c = Circuit(n, tuple(Gate(r["kind"], tuple(r["qubits"]), tuple(r["params"])) for r in rows))
+        got = [(key[0].as_py(), *x) for x in result(c)]
+        return pa.table({name: [x[i] for x in got] for i, name in enumerate(names)})
+
+    return gates.groupBy("circuit_id").applyInArrow(run, f"circuit_id long, {kind}")
+
+
+@query(f"SELECT user_id AS circuit_id, kind, count(*) AS gates FROM ({_FEED}) GROUP BY ALL")
 def block_stats_events(spark, sf_dir):
-    return _stats(spark, _one_user(spark, sf_dir), 3)
+    """Every user's circuit is planned, and the gates in its sections are counted by kind."""
+
+    def kinds(c):
+        count = {}
+        for b in T.plan_blocks(c, 3, restore_order=False).blocks:
+            for s in b.steps:
+                count[s.gate.kind] = count.get(s.gate.kind, 0) + 1
+        return list(count.items())
+
+    return each_circuit(W.events_gates(spark, sf_dir), 6, kinds, "kind string, gates long")
 
 
 # exchanges

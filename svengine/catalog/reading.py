@@ -214,7 +214,6 @@ def density_purity(spark, sf_dir):
 def heavy_output_share(spark, sf_dir):
     """Mass of the outcomes above the median probability."""
     a = M.probabilities(orders(spark, sf_dir)[0])
-    med = a.agg(F.percentile("p", 0.5).alias("med"))
-    return a.crossJoin(F.broadcast(med)).where("p > med").agg(u6(F.sum("p")).alias("share_u6"))
+    return a.where(F.col("p") > M.quantile(a, "p", 0.5)).agg(u6(F.sum("p")).alias("share_u6"))
 
 

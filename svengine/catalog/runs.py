@@ -8,11 +8,14 @@ from pyspark.sql import functions as F
 
 from ..functions.bits import u6
 from ..functions.gates import Circuit, inverse
+from ..functions.shared import shared_folder
 from ..operators import batch as B
 from ..operators import chunks as C
 from ..operators import measure as M
 from ..operators import rows as R
 from ..operators import states as S
+from ..operators import tiers as T
+from ..plans.cost import baseline_cost, blocked_cost, totals
 from ..plans.transpile import plan_blocks
 from ..sources import workloads as W
 from . import oracle as O
@@ -21,7 +24,7 @@ from .states import amps, customer, mismatches, orders, table
 
 
 def zero(spark, n: int, nc: int) -> C.Register:
-    return C.Register(S.zero_state(spark, n, nc, "chunks"), n, nc)
+    return C.Register(S.zero_state(spark, n, nc, "chunks"), n, nc, symmetric=True)
 
 
 def blocked(spark, c: Circuit, nc: int, start: C.Register | None = None, **options):
@@ -55,6 +58,25 @@ for _d in (1, 3):
     query(O.volume(6, _d), f"qv_depth_{_d}")(lambda s, d, depth=_d: amps(blocked(s, W.quantum_volume(s, d, 6, depth), 4)))
 
 
+@query(" UNION ALL ".join(f"SELECT {d}::INT AS depth, * FROM ({O.volume(6, d)})" for d in (1, 2, 3)))
+def qv_depth_sweep(spark, sf_dir):
+    parts = [amps(blocked(spark, W.quantum_volume(spark, sf_dir, 6, d), 4)).withColumn("depth", F.lit(d)) for d in (1, 2, 3)]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+@query("SELECT CAST(n AS INT) AS n, CAST(nc AS INT) AS nc, CAST(n - nc AS INT) AS per_gate_exchanges, CASE WHEN n = nc THEN 0 ELSE 2 END AS exchanges, 1000000::BIGINT AS fidelity_u6 FROM (VALUES (5, 5), (6, 5), (7, 5), (8, 5)) v(n, nc)")
+def single_node_sweep(spark, sf_dir):
+    """Growing Fourier circuits in chunks of five qubits: exchanges of the per-gate and of the rewritten run, and the overlap of their results."""
+    out = None
+    for n in (5, 6, 7, 8):
+        c = W.qft(n, with_swaps=False)
+        p = plan_blocks(c, 5, diagonal_free=True, idle_first=False)
+        f = M.fidelity(C.rows_of(C.run_blocked(zero(spark, n, 5), p)), C.rows_of(C.run_baseline(zero(spark, n, 5), c)))
+        row = f.select(F.lit(n).alias("n"), F.lit(5).alias("nc"), F.lit(totals(baseline_cost(c, 5, 1))["exchanges"]).alias("per_gate_exchanges"), F.lit(totals(blocked_cost(p, 1))["exchanges"]).alias("exchanges"), u6("fidelity").alias("fidelity_u6"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query(O.amps("(SELECT k AS idx, cos(2*pi()*((k*37) % 256)/256)/16 AS re, sin(2*pi()*((k*37) % 256)/256)/16 AS im FROM range(256) t(k))"))
 def qft_basis(spark, sf_dir):
     return amps(R.run_gates(S.basis_state(spark, 8, 37), W.qft(8)))
@@ -143,9 +165,38 @@ def precision_single(spark, sf_dir):
 
 @query(O.MISMATCHES)
 def parquet_tier_roundtrip(spark, sf_dir):
-    """Sections with the register written to the slow tier after each one."""
+    """Generations partitioned by space after each section, and a second run that goes on after the last of them."""
     c = W.brickwork(6, 3)
-    return mismatches(blocked(spark, c, 3), C.rows_of(C.run_blocked(zero(spark, 6, 3), plan_blocks(c, 3), tiered="sections")))
+    folder, p = shared_folder(spark, "generations"), plan_blocks(c, 3)
+    C.run_blocked(zero(spark, 6, 3), p, 1, folder, 1).df.count()
+    nothing = C.Register(S.zero_state(spark, 6, 3, "chunks").where("chunk < 0"), 6, 3)
+    return mismatches(blocked(spark, c, 3), C.rows_of(C.run_blocked(nothing, p, 1, folder, 1)))
+
+
+@query(O.volume(6, 2))
+def tiered_state(spark, sf_dir):
+    """Three of eight chunks in memory, the others fetched for each section."""
+    return amps(C.rows_of(T.run_tiered(zero(spark, 6, 3), plan_blocks(W.quantum_volume(spark, sf_dir, 6, 2), 3), 3)[0]))
+
+
+@query(O.volume(6, 1))
+def in_place_state(spark, sf_dir):
+    """Slow chunks computed where they lie, gate by gate."""
+    return amps(C.rows_of(T.run_in_place(zero(spark, 6, 3), W.quantum_volume(spark, sf_dir, 6, 1), 3)[0]))
+
+
+@query("SELECT * FROM (VALUES ('sections', CAST(2 * 2 * 3 AS BIGINT)), ('exchanges', CAST(2 * 2 * 3 AS BIGINT)), ('in_place', CAST(2 * 2 * 5 AS BIGINT)), ('in_place_exchanges', CAST(2 * 2 * 2 AS BIGINT))) v(kind, chunk_moves)")
+def tier_traffic(spark, sf_dir):
+    """Slow chunks read and written by runs of the worked example, two of its four chunks slow: three sections and three remaps against five gates inside chunks and two exchanges."""
+    c = W.worked_example()
+    a = T.run_tiered(zero(spark, 5, 3), plan_blocks(c, 3, restore_order=False), 2)[1]
+    b = T.run_in_place(zero(spark, 5, 3), c, 2)[1]
+    return spark.createDataFrame([*a.items(), ("in_place", b["in_place"]), ("in_place_exchanges", b["exchanges"])], "kind string, chunk_moves long")
+
+
+@query("SELECT CAST(pow(2, q) AS BIGINT) AS idx, CAST(floor(1.0/6*1e6 + 0.5001) AS BIGINT) AS p_u6 FROM range(6) t(q)")
+def w_state(spark, sf_dir):
+    return M.probabilities(blocked(spark, W.w_state(6), 3)).where("p > 1e-12").select("idx", u6("p").alias("p_u6"))
 
 
 # batches of small circuits

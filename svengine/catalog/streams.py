@@ -8,9 +8,11 @@ from pyspark.sql import functions as F
 
 from ..functions.bits import u6
 from ..functions.shared import shared_folder
+from ..plans.transpile import plan_blocks
 from ..streaming import feed
 from . import oracle as O
 from . import query
+from .plans import each_circuit
 from .runs import _EV, _EVENTS_G, _zeros
 from .states import amps, table
 
@@ -60,8 +62,8 @@ def stream_interval_join(spark, sf_dir):
     return feed.drained(j.select("click", "purchase"), "append").drop("batch")
 
 
-def _gate_stream(spark, sf_dir):
-    e = _events(spark, sf_dir).withColumn("k", F.get_json_object("props", "$.k").cast("long"))
+def _gate_stream(events):
+    e = events.withColumn("k", F.get_json_object("props", "$.k").cast("long"))
     n, t = 6, F.col("event_type")
     q0, q1 = (F.col("k") % n).cast("int"), ((F.col("k") + 1 + F.col("user_id") % (n - 1)) % n).cast("int")
     theta, phi = F.col("value") / 500 * math.pi, F.col("k") * math.pi / 50
@@ -74,17 +76,19 @@ def _gate_stream(spark, sf_dir):
 @query(O.batch_loop(_zeros("SELECT DISTINCT user_id AS circuit_id FROM events", 6), _EVENTS_G, O.amps("fin", "circuit_id, idx"), _EV))
 def stream_register_fold(spark, sf_dir):
     """A register for each user as the stream's state, folded gate by gate."""
-    return amps(feed.newest(feed.drained(feed.fold_registers(_gate_stream(spark, sf_dir), 6), "update")), "circuit_id", "idx")
+    return amps(feed.newest(feed.drained(feed.fold_registers(_gate_stream(_events(spark, sf_dir)), 6), "update")), "circuit_id", "idx")
 
 
-@query("SELECT event_id % 2 AS part, count(*) AS gates FROM events WHERE event_type = 'click' GROUP BY 1")
+@query("SELECT user_id AS circuit_id, count(*) AS gates FROM events GROUP BY user_id")
 def stream_foreachbatch_state(spark, sf_dir):
-    """Each micro-batch is planned and reduced by itself; batches add up. Two files, one a batch."""
+    """Each micro-batch plans the circuits of its gates where they meet, and counts what the plans' sections hold; batches add up. Two files, one a batch."""
     folder = shared_folder(spark, "feed")
-    table(spark, sf_dir, "events").repartition(2, (F.col("event_id") % 2)).write.parquet(f"{folder}/events.parquet")
-    s = feed.event_stream(spark, f"{folder}/events.parquet", 1)
-    part = lambda b, k: b.where("event_type = 'click'").groupBy((F.col("event_id") % 2).alias("part")).agg(F.count(F.lit(1)).alias("gates"))
-    return feed.drained(s, "append", "part long, gates long", part).groupBy("part").agg(F.sum("gates").alias("gates"))
+    e = table(spark, sf_dir, "events")
+    for part in (0, 1):
+        e.where(F.col("event_id") % 2 == part).write.mode("append").parquet(f"{folder}/events.parquet")
+    held = lambda c: [(sum(len(x.steps) for x in plan_blocks(c, 3, restore_order=False).sections),)]
+    rows = feed.drained(_gate_stream(feed.event_stream(spark, f"{folder}/events.parquet", 1)), "append", "circuit_id long, gates long", lambda b, k: each_circuit(b, 6, held, "gates long"))
+    return rows.groupBy("circuit_id").agg(F.sum("gates").alias("gates"))
 
 
 @query("SELECT count(*) AS gates FROM events")

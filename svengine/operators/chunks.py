@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.bits import permuted
 from ..functions.gates import Circuit, Gate, apply_dense, diagonal_of
-from ..functions.shared import written
+from ..functions.shared import complete, drop, written
 from ..plans.transpile import Plan, Section, Step
 from .states import CHUNK, WIDTH
 
@@ -30,6 +30,8 @@ class Register:
     nc: int
     layout: tuple[int, ...] = ()
     precision: str = "double"
+    #: Whether the state is the same in every layout (the zero register), so that a start layout costs nothing.
+    symmetric: bool = False
 
     def __post_init__(self):
         self.layout = self.layout or tuple(range(self.n))
@@ -197,20 +199,36 @@ def run_section(r: Register, s: Section, strategy: str = "pair") -> Register:
     return Register(apply_global(r.df, x.gate, x.at, r.n, r.nc, strategy, r.precision), r.n, r.nc, r.layout, r.precision)
 
 
-def run_blocked(r: Register, p: Plan, cut: int = CUT, tiered: str | None = None) -> Register:
-    """The plan, section by section. tiered='sections' writes the register after each one (the slow tier is the shared folder)."""
-    if p.start != r.layout:
-        r = Register(run_remap(r.df, p.start, r.n, r.nc, r.precision), r.n, r.nc, p.start, r.precision)
-    for k, s in enumerate(p.sections):
-        r = run_section(r, s)
-        if tiered == "sections" or (k % cut == cut - 1 and k + 1 < len(p.sections)):
-            r = Register(written(r.df), r.n, r.nc, r.layout, r.precision)
+def run_blocked(r: Register, p: Plan, cut: int = CUT, folder: str | None = None, space_bits: int = 0) -> Register:
+    """The plan, section by section. Every `cut` sections the register is written to the shared folder; the last two generations are kept.
+
+    folder: where generations go, by section. A run that finds complete ones there goes on after the latest. space_bits: generations are
+    partitioned by space, the chunk number's top bits.
+    """
+    spark, kept, first = r.df.sparkSession, [], 0
+    at = lambda k: f"{folder.rstrip('/')}/after-{k:06d}"
+    done = [k for k in range(len(p.sections)) if folder and complete(spark, at(k))]
+    if done:
+        df = spark.read.parquet(at(done[-1])).select("chunk", "amp")
+        r, first = Register(df, r.n, r.nc, p.sections[done[-1]].after, r.precision), done[-1] + 1
+    elif p.start != r.layout:
+        df = r.df if r.symmetric else run_remap(r.df, p.start, r.n, r.nc, r.precision)
+        r = Register(df, r.n, r.nc, p.start, r.precision)
+    for k in range(first, len(p.sections)):
+        r = run_section(r, p.sections[k])
+        if k % cut == cut - 1 and (folder or k + 1 < len(p.sections)):
+            df = r.df.withColumn("space", F.shiftright("chunk", r.n - r.nc - space_bits)) if space_bits else r.df
+            df = written(df, path=at(k) if folder else None, by="space" if space_bits else None)
+            kept.append(df)
+            r = Register(df.select("chunk", "amp"), r.n, r.nc, r.layout, r.precision)
+            if len(kept) > 2:
+                drop(kept.pop(0))
     return Register(r.df, r.n, r.nc, p.end, r.precision)
 
 
 def run_baseline(r: Register, c: Circuit, strategy: str = "pair", cut: int = CUT) -> Register:
     """Gate by gate without rewriting: an exchange whenever a gate mixes chunks. Gates in between run in one pass."""
-    df, run, exchanges = r.df, [], 0
+    df, run, exchanges, kept = r.df, [], 0, []
     for k, g in enumerate(c.gates):
         if max([*g.written, -1]) < r.nc:
             run.append(Step(k, g, g.qubits))
@@ -221,6 +239,9 @@ def run_baseline(r: Register, c: Circuit, strategy: str = "pair", cut: int = CUT
         exchanges += 1
         if exchanges % cut == 0:
             df = written(df)
+            kept.append(df)
+            if len(kept) > 2:
+                drop(kept.pop(0))
     if run:
         df = run_block(df, tuple(run), r.nc, r.precision)
     return Register(df, r.n, r.nc, r.layout, r.precision)

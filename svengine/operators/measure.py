@@ -32,22 +32,53 @@ def billionths(state: DataFrame) -> DataFrame:
     return state.select("idx", F.floor(p() * 1e9 + 0.5001).cast("long").alias("w"))
 
 
+#: Indices in a run of sample_shots().
+RUN_BITS = 12
+
+
+def _in_spans(points: DataFrame, at: str, spans: DataFrame, width: Column, keys: tuple[str, ...] = ()) -> DataFrame:
+    """Each point with the span lo <= at < hi that holds it (of the same keys): an equi-join on steps of `width`, into which spans are cut. Empty spans hold nothing."""
+    cut = spans.where("hi > lo").withColumn("_step", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
+    return points.withColumn("_step", F.floor(F.col(at) / width)).join(cut, [*keys, "_step"]).where(f"{at} >= lo and {at} < hi").drop("_step")
+
+
 def sample_shots(state: DataFrame, shots: int, nc: int) -> DataFrame:
-    """Inverse distribution in two levels: sums of runs of 2^nc indices first, then inside the runs that were drawn.
+    """Inverse distribution in two levels: sums of runs of indices (2^nc, 2^RUN_BITS at most) first, then inside the runs that were drawn.
 
-    The window over runs sees one row for each run, and those inside a run 2^nc rows; none sees the whole register. Draw s is
-    (s * 2654435761) mod the total.
+    The window over runs sees one row for each run, and those inside a run its rows; none sees the whole register. Draw s is
+    (s * 2654435761) mod the total. Draws meet their run, and then their index, by equi-joins on steps of about a run's (an index's) mean mass.
     """
     spark = state.sparkSession
-    w = billionths(state).withColumn("run", F.shiftright("idx", nc))
-    runs = w.groupBy("run").agg(F.sum("w").alias("mass"))
-    total = runs.agg(F.sum("mass").alias("total"))
-    upto = F.sum("mass").over(Window.orderBy("run"))
-    runs = runs.withColumn("hi", upto).withColumn("lo", F.col("hi") - F.col("mass"))
-    draws = spark.range(shots).withColumnRenamed("id", "shot").crossJoin(F.broadcast(total)).withColumn("draw", (F.col("shot") * 2654435761) % F.col("total"))
-    hit = draws.join(runs, (F.col("draw") >= F.col("lo")) & (F.col("draw") < F.col("hi"))).select("shot", "run", (F.col("draw") - F.col("lo")).alias("inside"))
+    w = billionths(state).withColumn("run", F.shiftright("idx", min(nc, RUN_BITS)))
+    runs = w.groupBy("run").agg(F.sum("w").alias("mass"), F.count(F.lit(1)).alias("n"))
+    total, n = runs.agg(F.coalesce(F.sum("mass"), F.lit(0)), F.count(F.lit(1))).first()
+    if not total:
+        return spark.createDataFrame([], "shot long, outcome long")
+    runs = runs.withColumn("hi", F.sum("mass").over(Window.orderBy("run"))).withColumn("lo", F.col("hi") - F.col("mass"))
+    draws = spark.range(shots).select(F.col("id").alias("shot"), ((F.col("id") * 2654435761) % total).alias("draw"))
+    hit = _in_spans(draws, "draw", runs, F.lit(total // n + 1)).select("shot", "run", "mass", "n", (F.col("draw") - F.col("lo")).alias("inside"))
+    step = F.floor(F.col("mass") / F.col("n")) + 1
     inner = w.withColumn("hi", F.sum("w").over(Window.partitionBy("run").orderBy("idx"))).withColumn("lo", F.col("hi") - F.col("w"))
-    return hit.join(inner, "run").where("inside >= lo and inside < hi").select("shot", F.col("idx").alias("outcome"))
+    inner = inner.withColumns({"mass": F.sum("w").over(Window.partitionBy("run")), "n": F.count(F.lit(1)).over(Window.partitionBy("run"))})
+    return _in_spans(hit, "inside", inner, step, ("run", "mass", "n")).select("shot", F.col("idx").alias("outcome"))
+
+
+def quantile(rows: DataFrame, column: str, share: float, bins: int = 4096) -> float:
+    """The exact quantile, between neighbours: counts of `bins` ranges, then of the one that holds its rank, until that holds one value."""
+    v = F.col(column)
+    n, lo, hi = rows.agg(F.count(v), F.min(v), F.max(v)).first()
+    at = (n - 1) * share
+    rank, after = int(at), hi
+    while lo < hi:
+        place = F.least(F.floor((v - lo) / ((hi - lo) / bins)), F.lit(bins - 1))
+        parts = rows.where(v.between(lo, hi)).groupBy(place.alias("bin")).agg(F.count(v), F.min(v), F.max(v)).orderBy("bin").collect()  # bins rows at most
+        k = 0
+        while rank >= parts[k][1]:
+            rank -= parts[k][1]
+            k += 1
+        after = parts[k + 1][2] if k + 1 < len(parts) else after
+        _, n, lo, hi = parts[k]
+    return lo + (at - int(at)) * ((lo if rank + 1 < n else after) - lo)
 
 
 def collapse(state: DataFrame, qubit: int, outcome: int) -> DataFrame:

@@ -203,7 +203,9 @@ def plan_blocks(
                 other = now.index(q)
                 swaps.append((min(now[q], q), max(now[q], q)))
                 now[other], now[q] = now[q], q
-        remap(swaps)
+        # the budget holds here, too: the permutation goes in rounds of so many swaps
+        for k in range(0, len(swaps), max_swaps or len(swaps)):
+            remap(swaps[k : k + (max_swaps or len(swaps))])
     return Plan(c.n, nc, tuple(sections), start, tuple(pos))
 
 

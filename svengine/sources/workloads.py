@@ -74,6 +74,21 @@ def brickwork(n: int, depth: int, angle: float = 0.3) -> Circuit:
     return Circuit(n, tuple(gates))
 
 
+def w_state(n: int) -> Circuit:
+    """Equal amplitudes on the n indices with one bit: the excitation of qubit 0 is handed on in shares, by a controlled rotation (two half ones around cx) and a cx."""
+    gates = [Gate("x", (0,))]
+    for q in range(n - 1):
+        half = math.acos(math.sqrt(1 / (n - q)))
+        gates += [Gate("ry", (q + 1,), (half,)), Gate("cx", (q, q + 1)), Gate("ry", (q + 1,), (-half,)), Gate("cx", (q, q + 1)), Gate("cx", (q + 1, q))]
+    return Circuit(n, tuple(gates))
+
+
+def two_halves(n: int) -> Circuit:
+    """Chains of cx in the lower half, in the upper half, and in the lower half again: the last ones wait for nothing in the upper half."""
+    chain = lambda lo: tuple(Gate("cx", (q, q + 1)) for q in range(lo, lo + n // 2 - 1))
+    return Circuit(n, (*chain(0), *chain(n // 2), *chain(0)))
+
+
 def worked_example() -> Circuit:
     """Five qubits, seven gates; for chunks of three qubits it takes three sections and four swaps."""
     return Circuit(5, (Gate("u3", (0,), (0.3, 0.4, 0.5)), Gate("cx", (0, 1)), Gate("u1", (4,), (0.7,)), Gate("cx", (1, 3)), Gate("u3", (2,), (1.0, 0.2, 0.3)), Gate("cx", (3, 4)), Gate("cx", (2, 0))))
