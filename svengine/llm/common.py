@@ -22,9 +22,12 @@ def shared_folder(spark: SparkSession, name: str) -> str:
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows of df written as Parquet in the shared folder and read again: cuts lineage, survives lost executors."""
+    """The rows of df written as Parquet in the shared folder and read again: cuts lineage, survives lost executors.
+
+    Uncompressed: most columns are hashes, and the codecs' direct buffers stay in an executor's native memory until a collection of its heap.
+    """
     path = shared_folder(df.sparkSession, name)
-    df.write.parquet(path)
+    df.write.option("compression", "uncompressed").parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.shared_path = path
     return out

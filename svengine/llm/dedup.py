@@ -23,10 +23,11 @@ from . import common
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 #: Settings of the stream: RocksDB, which reserves 4 MB of disk for each partition's log unless told not to, and buffers for each
-#: partition in native memory; together they may take this much of an executor.
+#: partition in native memory; together they may take this much of an executor. Stores of a stream that has ended are closed by the next maintenance.
 SETTINGS = {
     "spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false",
-    "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage": "true", "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB": "128",
+    "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage": "true", "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB": "64",
+    "spark.sql.streaming.stateStore.maintenanceInterval": "5s",
 }
 #: Files of the digest table that one micro-batch takes.
 BATCH_FILES = 256
