@@ -95,9 +95,12 @@ def fit(x: np.ndarray, y: np.ndarray, seed: int = 7, steps: int = 300) -> dict:
     """Weights by gradient steps with momentum over all preference pairs. The grams of a kind together vary as much as one share does, so that many rare cells don't outweigh it."""
     if len(set(y.tolist())) < 2:
         return {"mean": np.zeros(x.shape[1]), "weights": np.zeros(x.shape[1])}
-    mean, scale = x.mean(0, dtype=float), x.std(0, dtype=float) + 1e-6
+    z = x.astype(np.float32)  # all else goes in place or by column
+    mean = z.mean(0, dtype=float)
+    z -= mean.astype(np.float32)
+    scale = np.sqrt(np.einsum("ij,ij->j", z, z, dtype=float) / len(z)) + 1e-6
     scale[SHARES:] *= GRAMS**0.5
-    z = ((x - mean) / scale).astype(np.float32)
+    z /= scale.astype(np.float32)
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
     rng = np.random.default_rng(seed)
     a = np.concatenate([rng.permutation(np.resize(good, max(len(good), len(bad)))) for _ in range(PAIRS)])
@@ -169,7 +172,10 @@ def sample(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         return np.zeros((0, len(FEATURES)), np.float16), np.zeros(0, int)
     got = chosen[0].unionByName(chosen[1]).mapInArrow(run, "label int, h long, x binary").groupBy("label", "h").agg(F.first("x").alias("x"))
     got = got.toArrow().sort_by([("label", "ascending"), ("h", "ascending")])
-    return np.frombuffer(b"".join(got["x"].to_pylist()), np.float16).reshape(-1, len(FEATURES)), got["label"].to_numpy()
+    x = np.empty((len(got), len(FEATURES)), np.float16)
+    for i, v in enumerate(got["x"]):
+        x[i] = np.frombuffer(v.as_buffer(), np.float16)
+    return x, got["label"].to_numpy()
 
 
 def train(docs: DataFrame, labels: DataFrame, held: int | None = None) -> dict:
