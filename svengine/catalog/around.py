@@ -78,9 +78,10 @@ def gate_dependencies(spark, sf_dir):
 
 @query(f"WITH g(ord, qubits) AS (VALUES {_DEP}) SELECT CAST(ord AS BIGINT) AS ord FROM g b WHERE NOT EXISTS (SELECT 1 FROM g a WHERE a.ord < b.ord AND list_has_any(a.qubits, b.qubits))")
 def front_layer_gates(spark, sf_dir):
-    g = W.gate_table(W.worked_example(), spark).select("ord", F.explode("qubits").alias("q"))
-    first = g.groupBy("q").agg(F.min("ord").alias("first"))
-    return g.join(first, "q").groupBy("ord").agg(F.max(F.col("ord") > F.col("first")).alias("waits")).where("not waits").select("ord")
+    """Gates that no earlier gate on one of their qubits holds back: a correlated NOT EXISTS, which becomes an anti-join on ord."""
+    q = W.gate_table(W.worked_example(), spark).select("ord", F.explode("qubits").alias("q"))
+    held = "SELECT 1 FROM {q} a JOIN {q} o ON a.q = o.q AND a.ord < o.ord WHERE o.ord = b.ord"
+    return spark.sql(f"SELECT DISTINCT b.ord FROM {{q}} b WHERE NOT EXISTS ({held})", q=q)
 
 
 @query("SELECT 4 AS depth")
@@ -97,6 +98,13 @@ def distinct_qubits_used(spark, sf_dir):
     return g.agg(F.countDistinct(F.element_at("qubits", 1)).alias("qubits"), F.countDistinct("circuit_id").alias("circuits"))
 
 
+@query("SELECT count(DISTINCT l_partkey) AS parts, true AS within FROM lineitem")
+def approx_distinct_parts(spark, sf_dir):
+    """Distinct part keys, and whether the sketch's number, asked for with a deviation of 1 %, lies within 5 % of it."""
+    t = table(spark, sf_dir, "lineitem").agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.01).alias("near"))
+    return t.select("parts", (F.abs(F.col("near") - F.col("parts")) <= F.col("parts") * 0.05).alias("within"))
+
+
 @query(f"SELECT q0, count(*) FILTER (kind = 'h') AS h, count(*) FILTER (kind = 'u3') AS u3, count(*) FILTER (kind = 'cx') AS cx FROM (SELECT {_KIND} AS kind, CAST(json_extract(props, '$.k') AS BIGINT) % 6 AS q0 FROM events) GROUP BY q0")
 def gate_kind_pivot(spark, sf_dir):
     g = W.events_gates(spark, sf_dir).select("kind", F.element_at("qubits", 1).cast("long").alias("q0"))

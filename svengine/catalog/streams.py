@@ -106,3 +106,17 @@ def stream_late_gates(spark, sf_dir):
     s = feed.event_stream(spark, f"{folder}/events.parquet", 1).withWatermark("ts", "1 hour")
     w = s.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count(F.lit(1)).alias("gates")).select("w.start", "event_type", "gates")
     return feed.drained(w, "append").where("event_type <> 'marker'").agg(F.sum("gates").alias("gates"))
+
+
+@query("""SELECT event_type, CAST(count(*) * CASE event_type WHEN 'signup' THEN 2 ELSE 1 END AS BIGINT) AS in_time, CAST(CASE event_type WHEN 'error' THEN count(*) ELSE 0 END AS BIGINT) AS dead FROM events GROUP BY event_type""")
+def stream_dead_letters(spark, sf_dir):
+    """The feed, then in a second run signups sent again in time and errors sent again with times a thousand days back: those are dead letters."""
+    folder = shared_folder(spark, "dead-feed")
+    e = table(spark, sf_dir, "events")
+    feed_ = feed.event_stream(spark, f"{folder}/in/events.parquet", 1_000_000)
+    e.write.parquet(f"{folder}/in/events.parquet")
+    feed.split_late(feed_, "365 DAYS", folder)
+    again = e.where("event_type in ('signup', 'error')").withColumn("ts", F.expr("if(event_type = 'error', ts - INTERVAL 1000 DAYS, ts)"))
+    again.write.mode("append").parquet(f"{folder}/in/events.parquet")
+    rows = feed.split_late(feed_, "365 DAYS", folder)
+    return rows.groupBy("event_type").agg(F.count_if(~F.col("late")).alias("in_time"), F.count_if("late").alias("dead"))

@@ -28,10 +28,10 @@ def event_stream(spark: SparkSession, path: str, max_files: int = 64) -> DataFra
     return s.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drained(df: DataFrame, mode: str, schema: str | None = None, each: Callable[[DataFrame, int], DataFrame] | None = None) -> DataFrame:
-    """Run the stream until its source is empty; all batches' rows with the column `batch`."""
+def drained(df: DataFrame, mode: str, schema: str | None = None, each: Callable[[DataFrame, int], DataFrame] | None = None, folder: str | None = None) -> DataFrame:
+    """Run the stream until its source is empty; all batches' rows with the column `batch`. folder: that of an earlier run, which this one goes on from."""
     spark = df.sparkSession
-    folder = shared_folder(spark, "stream")
+    folder = folder or shared_folder(spark, "stream")
 
     def sink(batch: DataFrame, k: int) -> None:
         (each(batch, k) if each else batch).write.mode("overwrite").parquet(f"{folder}/rows/batch={k}")
@@ -41,6 +41,23 @@ def drained(df: DataFrame, mode: str, schema: str | None = None, each: Callable[
     return spark.read.schema(f"{kind}, batch long").parquet(f"{folder}/rows")
 
 
+def split_late(events: DataFrame, delay: str, folder: str) -> DataFrame:
+    """All events with the column `late`: more than `delay` before the latest event time of earlier batches. Late ones are the dead-letter table.
+
+    A batch's latest time is written under its number before its rows are, and a batch looks at lower numbers only, so one that is run again decides alike.
+    """
+    spark = events.sparkSession
+    marks = f"{folder}/marks"
+
+    def each(batch: DataFrame, k: int) -> DataFrame:
+        batch.agg(F.max("ts").alias("top")).write.mode("overwrite").parquet(f"{marks}/batch={k}")
+        top = spark.read.schema("top timestamp, batch long").parquet(marks).where(F.col("batch") < k).agg(F.max("top")).first()[0]
+        return batch.withColumn("late", F.coalesce(F.col("ts") < F.lit(top) - F.expr(f"INTERVAL {delay}"), F.lit(False)) if top else F.lit(False))
+
+    kind = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in events.schema)
+    return drained(events, "append", f"{kind}, late boolean", each, folder)
+
+
 def last_batch(rows: DataFrame) -> DataFrame:
     """What the last batch gave: the whole result of a stream in complete mode."""
     top = rows.agg(F.max("batch").alias("_b"))
