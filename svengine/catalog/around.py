@@ -11,7 +11,7 @@ from ..functions.bits import u6
 from ..operators import measure as M
 from ..operators import rows as R
 from ..operators import states as S
-from ..sources import qasm
+from ..sources import qasm, volumes
 from ..sources import workloads as W
 from ..sqlsurface import register_sql
 from . import oracle as O
@@ -253,3 +253,21 @@ def expect_labels(spark, sf_dir):
     return z.join(table(spark, sf_dir, "labels"), "doc_id").groupBy("quality").agg(u6(F.avg("z")).alias("z_u6"))
 
 
+#: The pair block's steps, written out: step, kind, side.
+_STEPS = "(VALUES (0, 'u3', 0), (1, 'u3', 1), (2, 'cx', 0), (3, 'u3', 0), (4, 'u3', 1), (5, 'cx', 1), (6, 'u3', 0), (7, 'u3', 1), (8, 'cx', 0), (9, 'u3', 0), (10, 'u3', 1)) s(step, kind, side)"
+
+
+@query(
+    "WITH placed AS (SELECT layer, q, row_number() OVER (PARTITION BY layer ORDER BY (q * 7919 + layer * 104729 + 31) % 10007, q) - 1 AS at FROM range(10) l(layer), range(8) r(q)), "
+    f"g AS (SELECT c.circuit_id, a.layer * 44 + a.at // 2 * 11 + step AS ord, kind, a.q AS q0, CASE WHEN kind = 'cx' THEN b.q ELSE -1 END AS q1 FROM (SELECT unnest(range(count(*))) AS circuit_id FROM nation) c, placed a, placed b, {_STEPS} "
+    "WHERE a.layer = b.layer AND a.at // 2 = b.at // 2 AND a.at <> b.at AND a.at % 2 = side) "
+    "SELECT circuit_id::BIGINT AS circuit_id, ord::BIGINT AS ord, kind, q0::INT AS q0, q1::INT AS q1, CASE WHEN kind = 'u3' THEN round(1e6 * pi() * ((ord * 37 + circuit_id * 11) % 50 + 1) / 50)::BIGINT ELSE 0 END AS theta_u6, "
+    "CASE WHEN kind = 'u3' THEN round(1e6 * 2 * pi() * (ord * 53 % 1009) / 1009)::BIGINT ELSE 0 END AS phi_u6, CASE WHEN kind = 'u3' THEN round(1e6 * 2 * pi() * ((ord * 29 + circuit_id) % 1013) / 1013)::BIGINT ELSE 0 END AS lam_u6 FROM g"
+)
+def volume_source_gates(spark, sf_dir):
+    """A volume circuit of eight qubits and ten layers for each nation, generated in partitions by the data source."""
+    spark.dataSource.register(volumes.VolumeCircuits)
+    g = spark.read.format("volumecircuits").option("n", 8).option("depth", 10).option("circuits", table(spark, sf_dir, "nation").count()).load()
+    at = lambda c, i, other: F.coalesce(F.get(c, F.lit(i)), F.lit(other))
+    angle = lambda i: F.round(at("params", i, 0.0) * 1e6).cast("long")
+    return g.select("circuit_id", "ord", "kind", at("qubits", 0, -1).alias("q0"), at("qubits", 1, -1).alias("q1"), angle(0).alias("theta_u6"), angle(1).alias("phi_u6"), angle(2).alias("lam_u6"))

@@ -21,14 +21,18 @@ def line_angles(spark: SparkSession, sf_dir: str, rows: int) -> list[tuple[float
     return [(r["a"], r["b"], r["c"]) for r in t.orderBy(*LINE_KEY).collect()]
 
 
+def paired(n: int, layer: int) -> list[list[int]]:
+    """The qubit pairs of a layer, by a hash."""
+    order = sorted(range(n), key=lambda q: ((q * 7919 + layer * 104729 + 31) % 10007, q))
+    return [order[2 * i : 2 * i + 2] for i in range(n // 2)]
+
+
 def quantum_volume(spark: SparkSession, sf_dir: str, n: int, depth: int = 10) -> Circuit:
     """Each layer pairs the qubits by a hash of part keys and gives every pair a block; angles come from lineitem."""
     angles = iter(line_angles(spark, sf_dir, 8 * (n // 2) * depth))
     gates = []
     for layer in range(depth):
-        order = sorted(range(n), key=lambda q: ((q * 7919 + layer * 104729 + 31) % 10007, q))
-        for i in range(n // 2):
-            pair = order[2 * i : 2 * i + 2]
+        for pair in paired(n, layer):
             for kind, side in PAIR_BLOCK:
                 gates.append(Gate("u3", (pair[side],), next(angles)) if kind == "u3" else Gate("cx", (pair[side], pair[1 - side])))
     return Circuit(n, tuple(gates))

@@ -9,7 +9,7 @@ import pytest
 import __spark_entry__ as entry_module
 
 SF = "/root/testdata/sf0.001"
-SOME = ["encode_orders", "encode_lineitem", "u3_high_orders", "cx_high_target", "exchange_slice", "remap_fused", "qft_blocked", "qv_rows_blocked", "batch_orders_circuits", "placement_with_buffers", "sample_shots_two_level", "worked_example_plan", "stream_register_fold", "udtf_qft_gates", "noise_trajectories", "rewriter_variants", "chooser_comparison", "swap_budget", "block_stats_qft", "block_stats_events", "exchange_cost_events", "strong_scaling_model", "tier_traffic", "outcome_ranks", "single_node_sweep", "w_state", "stream_foreachbatch_state", "stream_dead_letters", "front_layer_gates", "approx_distinct_parts"]
+SOME = ["encode_orders", "encode_lineitem", "u3_high_orders", "cx_high_target", "exchange_slice", "remap_fused", "qft_blocked", "qv_rows_blocked", "batch_orders_circuits", "placement_with_buffers", "sample_shots_two_level", "worked_example_plan", "stream_register_fold", "udtf_qft_gates", "noise_trajectories", "rewriter_variants", "chooser_comparison", "swap_budget", "block_stats_qft", "block_stats_events", "exchange_cost_events", "strong_scaling_model", "tier_traffic", "outcome_ranks", "single_node_sweep", "w_state", "stream_foreachbatch_state", "stream_dead_letters", "front_layer_gates", "approx_distinct_parts", "volume_source_gates"]
 
 
 @pytest.fixture(scope="module")

@@ -117,3 +117,15 @@ def test_shots_follow_the_cumulative_mass(spark):
 def test_plans_join_shots_without_nested_loops(spark):
     plan = M.sample_shots(S.uniform_state(spark, 6), 64, 2)._jdf.queryExecution().executedPlan().toString()
     assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_volume_source_is_the_same_in_any_number_of_parts(spark):
+    from svengine.sources import volumes
+
+    spark.dataSource.register(volumes.VolumeCircuits)
+    read = lambda **o: spark.read.format("volumecircuits").options(**o).load()
+    rows = [sorted(map(str, read(n=5, depth=3, circuits=2, parts=p).collect())) for p in (1, 4, 50)]
+    assert rows[0] == rows[1] == rows[2] and len(rows[0]) == 2 * 3 * 2 * 11
+    assert read(n=5, depth=3, circuits=2, parts=4).rdd.getNumPartitions() == 4
+    for empty in ({"n": 1}, {"depth": 0}, {"circuits": 0}):
+        assert read(**{"n": 4, "depth": 2, "circuits": 1, **empty}).isEmpty()
