@@ -234,27 +234,30 @@ def _small(df: DataFrame) -> DataFrame:
 
 
 def verified(texts: DataFrame, pairs: DataFrame, sizes: DataFrame, idf) -> DataFrame:
-    """pairs (a, b: different documents) with their similarity. Members are compared in groups of about SALT, or of SALT_BYTES, with a copy of a's text.
+    """pairs (a, b: different documents; part_a, part_b: their components) with their similarity. Members are compared in groups of about SALT, or of
+    SALT_BYTES, with a copy of a's text.
 
     sizes: id and size of each text.
     """
-    pairs = common.written(pairs.join(sizes, pairs["b"] == sizes["id"]).select("a", "b", "size", F.pmod(F.xxhash64("b"), F.lit(1 << 30)).alias("salt")), "neardup-pairs")
+    pairs = common.written(pairs.join(sizes, pairs["b"] == sizes["id"]).select("a", "b", "part_a", "part_b", "size", F.pmod(F.xxhash64("b"), F.lit(1 << 30)).alias("salt")), "neardup-pairs")
     groups = pairs.groupBy("a").agg(F.greatest(F.ceil(F.count(F.lit(1)) / SALT), F.ceil(F.sum("size") / SALT_BYTES)).cast("int").alias("salts"), F.count(F.lit(1)).alias("n"))
-    members = common.looked_up(pairs, groups, "a", "n").select("a", F.col("b").alias("doc_id"), F.expr("cast(pmod(salt, salts) as int)").alias("salt"))
+    members = common.looked_up(pairs, groups, "a", "n").select("a", F.col("b").alias("doc_id"), F.expr("cast(pmod(salt, salts) as int)").alias("salt"), "part_a", "part_b")
     members = common.written(members, "neardup-members")
     # only the salts that members have, so that the centre goes nowhere else
     centres = members.select("a", F.col("a").alias("doc_id"), "salt").distinct()
-    wanted = members.unionByName(centres)
-    found = texts.join(_small(common.written(wanted, "neardup-wanted")), "doc_id").select("a", "salt", "doc_id", "text")
+    wanted = members.unionByName(centres, allowMissingColumns=True)
+    found = texts.join(_small(common.written(wanted, "neardup-wanted")), "doc_id").select("a", "salt", "doc_id", "text", "part_a", "part_b")
 
     def compare(key, t):
         table, a = idf.value, key[0].as_py()
         ids = t["doc_id"].to_pylist()
         centre = weighted(t["text"][ids.index(a)].as_py(), table)
-        out = {i: weighted_jaccard(centre, weighted(t["text"][k].as_py(), table)) for k, i in enumerate(ids) if i != a}
-        return pa.table({"a": pa.array([a] * len(out), pa.int64()), "b": pa.array(list(out), pa.int64()), "similarity": pa.array(list(out.values()), pa.float64())})
+        at = {i: k for k, i in enumerate(ids) if i != a}
+        alike = [weighted_jaccard(centre, weighted(t["text"][k].as_py(), table)) for k in at.values()]
+        rows = t.take(pa.array(list(at.values()), pa.int64()))
+        return pa.table({"a": rows["a"], "b": rows["doc_id"], "part_a": rows["part_a"], "part_b": rows["part_b"], "similarity": pa.array(alike, pa.float64())})
 
-    return found.groupBy("a", "salt").applyInArrow(compare, "a long, b long, similarity double")
+    return found.groupBy("a", "salt").applyInArrow(compare, "a long, b long, part_a long, part_b long, similarity double")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -279,12 +282,20 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    end = lambda x: F.struct(F.col(x).alias("id"), F.col(f"part_{x}").alias("part"))
+    pairs = pairs.select(F.least(end("a"), end("b")).alias("x"), F.greatest(end("a"), end("b")).alias("y"))
+    return pairs.select(F.col("x.id").alias("a"), F.col("y.id").alias("b"), F.col("x.part").alias("part_a"), F.col("y.part").alias("part_b")).distinct()
 
 
-def _parts(buckets: DataFrame, links: DataFrame) -> DataFrame:
-    """buckets with the component of each id."""
-    return common.written(buckets.join(components(links), "id", "left").withColumn("part", F.coalesce("label", "id")).drop("label"), "neardup-parts")
+def _merged(rows: DataFrame, links: DataFrame) -> DataFrame:
+    """rows (a written table with a column part) after components that links (part_a, part_b) join have become one.
+
+    Only components take part, so all links between two of them are one edge, however many texts both have.
+    """
+    joined = components(links.select(F.col("part_a").alias("a"), F.col("part_b").alias("b")))
+    sizes = rows.groupBy("part").agg(F.count(F.lit(1)).alias("in_part"))
+    found = common.written(sizes.join(joined, F.col("part") == F.col("id"), "left").select("part", F.coalesce("label", "part").alias("new"), "in_part"), "neardup-found")
+    return common.written(common.looked_up(rows, found, "part", "in_part").drop("part", "in_part").withColumnRenamed("new", "part"), "neardup-parts")
 
 
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
@@ -300,32 +311,35 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     rows = copies.select(F.explode("keys").alias("key"), "id")
     shared = common.written(rows.groupBy("key").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("in_key")).where("in_key > 1"), "neardup-keys")
     buckets = common.written(common.looked_up(rows, shared, "key", "in_key"), "neardup-buckets")
-    links = spark.createDataFrame([], "a long, b long, similarity double")
+    parts = spark.createDataFrame([], "id long, part long")
     if not buckets.isEmpty():
+        alike = F.col("similarity") >= similarity
         # a pair for each text first: with the least centre of its buckets
-        tried = buckets.groupBy("id").agg(F.min("a").alias("a")).where("id <> a").select("a", F.col("id").alias("b"))
+        tried = buckets.groupBy("id").agg(F.min("a").alias("a")).where("id <> a").select("a", F.col("id").alias("b"), F.col("a").alias("part_a"), F.col("id").alias("part_b"))
         done = common.written(verified(texts, tried, sizes, idf), "neardup-done")
-        parts = _parts(buckets, done.where(F.col("similarity") >= similarity))
+        first_parts = components(done.where(alike))
+        parts = common.written(buckets.join(first_parts, "id", "left").withColumn("part", F.coalesce("label", "id")).drop("label"), "neardup-parts")
         # then each bucket's centre with those of its members that aren't in its component yet
         heads = parts.where("id = a").select("key", F.col("part").alias("part_a"), "in_key")
         met = common.looked_up(parts.drop("in_key"), heads, "key", "in_key").where("part <> part_a")
-        tried = _ordered(met.select("a", F.col("id").alias("b"))).join(done, ["a", "b"], "left_anti")
-        done = common.written(done.unionByName(verified(texts, tried, sizes, idf)), "neardup-done")
-        links = done.where(F.col("similarity") >= similarity)
-        in_bucket = _parts(buckets, links).select("key", "id", "part")
-        open_ = in_bucket.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.count(F.lit(1)).alias("in_key")).where("lo < hi").select("key", "in_key")
-        rest = common.written(common.looked_up(in_bucket, open_, "key", "in_key").drop("in_key"), "neardup-open")
-        sums = common.written(signatures(texts, common.written(rest.select("id").distinct(), "neardup-ids"), idf), "neardup-sums")
-        keys = copies.select("id", "keys")
-        rest = common.written(rest.join(sums, "id").join(keys, "id").withColumn("band", F.array_position("keys", F.col("key"))), "neardup-open")
+        tried = _ordered(met.select("a", F.col("id").alias("b"), "part_a", F.col("part").alias("part_b"))).join(done, ["a", "b"], "left_anti")
+        second = common.written(verified(texts, tried, sizes, idf), "neardup-done")
+        parts = _merged(parts.select("key", "id", "part"), second.where(alike))
+        open_ = parts.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.count(F.lit(1)).alias("in_key")).where("lo < hi").select("key", "in_key")
+        rest = common.looked_up(parts, open_, "key", "in_key").groupBy("id").agg(F.min("part").alias("part"), F.collect_list("key").alias("in_keys"))
+        # a row for each text, however many open buckets it has: what is joined to it comes once
+        rest = common.written(rest, "neardup-open")
+        sums = common.written(signatures(texts, rest.select("id"), idf), "neardup-sums")
+        rest = rest.join(sums.join(copies.select("id", "keys"), "id"), "id")
+        rest = common.written(rest.withColumn("key", F.explode("in_keys")).drop("in_keys").withColumn("band", F.array_position("keys", F.col("key"))), "neardup-rest")
         other = rest.select("key", F.col("id").alias("b"), F.col("part").alias("part_b"), F.col("sums").alias("sums_b"), F.col("over").alias("over_b"), F.col("total").alias("total_b"), F.col("keys").alias("keys_b"))
         # two texts that share several buckets are a pair in the first of them only
         first = "band = array_position(zip_with(keys, keys_b, (x, y) -> x = y), true)"
         met = rest.withColumnRenamed("id", "a").join(other.withColumnRenamed("key", "key_b"), F.expr(f"key = key_b and part < part_b and {first} and {may_reach(similarity)}"))
-        new = _ordered(met.select("a", "b")).join(done, ["a", "b"], "left_anti")
-        more = verified(texts, new, sizes, idf).where(F.col("similarity") >= similarity)
-        links = common.written(links.unionByName(more), "neardup-links")
-    copies = common.written(copies.select("digest", "id", "n").join(components(links), "id", "left").select("digest", "id", "n", F.coalesce("label", "id").alias("class_id")), "neardup-copies")
+        new = _ordered(met.select("a", "b", F.col("part").alias("part_a"), "part_b")).join(done.unionByName(second), ["a", "b"], "left_anti")
+        more = common.written(verified(texts, new, sizes, idf).where(alike), "neardup-links")
+        parts = _merged(common.written(parts.select("id", "part").distinct(), "neardup-ids"), more)
+    copies = common.written(copies.select("digest", "id", "n").join(parts, "id", "left").select("digest", "id", "n", F.coalesce("part", "id").alias("class_id")), "neardup-copies")
     totals = copies.groupBy("class_id").agg(F.sum("n").alias("class_size"), F.count(F.lit(1)).alias("texts"))
     copies = common.written(common.looked_up(copies, totals, "class_id", "texts").select("digest", F.col("id").alias("copy_of"), "class_id", "class_size", "n"), "neardup-classes")
     return common.looked_up(sketch.select("doc_id", "digest"), copies, "digest", "n").select("doc_id", "copy_of", "class_id", "class_size")

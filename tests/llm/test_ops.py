@@ -629,3 +629,30 @@ def test_very_long_texts_and_other_types(spark):
     assert f[1]["near_next"] > 0.99 and f[1]["n_chars"] == len(long)
     files, dictionary = idfiles.write_ids(t, folder := common.shared_folder(spark, "long"))
     assert idfiles.read_ids(folder, files, dictionary).count() == 3
+
+
+def test_near_dups_join_texts_once(spark, monkeypatch):
+    """Sums and keys come to each text of open buckets once, whatever number of them it has, and links between two components are one edge."""
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 10**6, 400).tolist()
+    def text(share):  # noqa: E306
+        w = list(base)
+        for k in rng.choice(80, int(80 * share), replace=False):
+            w[5 * k] = int(rng.integers(10**6, 10**9))
+        return " ".join(map(str, w))
+
+    docs = spark.createDataFrame([(i, text(0.05 + 0.3 * (i % 8) / 8)) for i in range(120)], "doc_id long, text string")
+    sizes, inner, real = {}, [], common.written
+
+    def counted(df, name):
+        out = real(df, name)
+        sizes.setdefault(name, []).append(out.count())
+        return out
+
+    monkeypatch.setattr(common, "written", counted)
+    real_sums = neardup.signatures
+    monkeypatch.setattr(neardup, "signatures", lambda t, wanted, idf: (inner.append(wanted.distinct().count()), real_sums(t, wanted, idf))[1])
+    got = neardup.classes(docs)
+    assert got.count() == 120 and inner and inner[0] > 1
+    assert all(n == inner[0] for n in sizes["neardup-open"])
+    assert sizes["neardup-edges"][-1] <= inner[0]
