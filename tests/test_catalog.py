@@ -5,6 +5,7 @@ import os
 
 import duckdb
 import pytest
+from pyspark.errors import AnalysisException
 
 import __spark_entry__ as entry_module
 
@@ -33,3 +34,14 @@ def test_matches_sql(spark, con, name):
 def test_entry(spark):
     rows = entry_module.entry(spark).collect()
     assert len(rows) == 20 and rows[0]["p"] >= rows[-1]["p"]
+
+
+#: Queries whose job runs over a given table: none has a result without it.
+READ = ["amplitude_polar"]
+
+
+@pytest.mark.parametrize("name", READ)
+def test_reads_its_table(spark, con, name, tmp_path):
+    with pytest.raises(AnalysisException):
+        entry_module.queries()[name](spark, str(tmp_path)).collect()
+    test_matches_sql(spark, con, name)
