@@ -37,7 +37,7 @@ def test_entry(spark):
 
 
 #: Queries whose job runs over a given table: none has a result without it.
-READ = ["amplitude_polar", "basis_state", "bernstein_vazirani", "bit_ops_states"]
+READ = ["amplitude_polar", "basis_state", "bernstein_vazirani", "bit_ops_states", "bitstring_labels"]
 
 
 @pytest.mark.parametrize("name", READ)
