@@ -37,7 +37,7 @@ def test_entry(spark):
 
 
 #: Queries whose job runs over a given table: none has a result without it.
-READ = ["amplitude_polar", "basis_state", "bernstein_vazirani", "bit_ops_states", "bitstring_labels", "block_has_no_exchange", "block_stats_qft", "block_stats_qv", "buffer_overhead", "byte_per_flop", "capacity_table"]
+READ = ["amplitude_polar", "basis_encode_nation", "basis_state", "bernstein_vazirani", "bit_ops_states", "bitstring_labels", "block_has_no_exchange", "block_stats_qft", "block_stats_qv", "buffer_overhead", "byte_per_flop", "capacity_table"]
 
 
 @pytest.mark.parametrize("name", READ)
