@@ -40,6 +40,20 @@ def drop(df: DataFrame) -> None:
     target.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(target, True)
 
 
+#: Bytes of one Arrow batch, but for a row that is larger.
+BATCH_BYTES = 4_000_000
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """From now on the session's Arrow batches have BATCH_BYTES, unless it has a limit of its own. No result depends on batches.
+
+    Spark's limits, 10,000 rows and 64 MB, leave a task's whole split of texts in one batch. Each is there four times or more (native buffers of the
+    executor, where growing doubles them, both ways, and in the Python worker), and what the allocators keep of that stays with the executor.
+    """
+    if spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None) is None:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -656,3 +656,53 @@ def test_near_dups_join_texts_once(spark, monkeypatch):
     assert got.count() == 120 and inner and inner[0] > 1
     assert all(n == inner[0] for n in sizes["neardup-open"])
     assert sizes["neardup-edges"][-1] <= inner[0]
+
+
+def test_pipeline_bounds_arrow_batches(spark, given, tmp_path, monkeypatch):
+    """Every stage sends texts to Python in batches of bounded bytes; the results are those of whole splits in one batch."""
+    import corpus_pipeline as P
+
+    limit, seen = "spark.sql.execution.arrow.maxBytesPerBatch", str(tmp_path)
+    few = common.written(given.where("doc_id % 4 = 0").coalesce(1), "few")
+    longest = few.agg(F.max(F.octet_length("text"))).first()[0]
+    monkeypatch.setattr(common, "BATCH_BYTES", 30_000, raising=False)
+    real = type(few).mapInArrow
+
+    def spied(self, func, *args, **kw):
+        def run(batches):
+            import os
+            import uuid
+
+            def counted():
+                for b in batches:
+                    with open(os.path.join(seen, f"{uuid.uuid4().hex}"), "w") as f:
+                        f.write(str(b.nbytes))
+                    yield b
+
+            return func(counted())
+
+        return real(self, run, *args, **kw)
+
+    def largest(stage, docs):
+        """The stage's rows, and the bytes of the largest batch."""
+        for p in tmp_path.iterdir():
+            p.unlink()
+        out = common.written(stage(spark, docs, SF), "stage")
+        return out, sorted(map(tuple, out.collect())), max((int(p.read_text()) for p in tmp_path.iterdir()), default=0)
+
+    monkeypatch.setattr(type(few), "mapInArrow", spied)
+    t = few
+    try:
+        for name, stage in P.STAGES:
+            spark.conf.set(limit, "1g")
+            _, want, whole = largest(stage, t)
+            assert whole > 60_000 or name == "exact dedup"
+            spark.conf.unset(limit)
+            t, got, bounded = largest(stage, t)
+            t = t.coalesce(1)
+            assert got == want and bounded <= 31_000 + longest
+        spark.conf.set(limit, "12345")
+        P.STAGES[-1][1](spark, few, SF)
+        assert spark.conf.get(limit) == "12345"
+    finally:
+        spark.conf.unset(limit)
