@@ -7,9 +7,10 @@ cell (with n documents of s shingles about n * s / CELLS), and idf tells frequen
 differing ones rare, and full idf weights would hide such copies.
 
 Each document gets SAMPLES improved consistent weighted samples; documents that agree in all rows of a band share a bucket. Equal texts are
-folded first, so buckets hold different texts only. Within a bucket pairs aren't listed. Each text is compared with the least centre (least id) of its buckets, and
-each bucket's centre with members that these links don't join to it; then the pairs of different components that
-share a bucket are compared, but for those whose weights, summed by groups of shingles, can't reach the similarity. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
+folded first, so buckets hold different texts only. Within a bucket pairs aren't listed. A bucket's centre is the text whose buckets have the most texts, as it
+is like the most of the others. Each text is compared with the best centre of its buckets, and each bucket's centre with members that these links don't join to it; then
+the pairs of different components that share a bucket are compared, but for those whose weights, summed by groups of shingles, can't reach the similarity; shingles
+that only one of these texts has are in no sum. So every other pair in a bucket is either compared or already in one class. Classes are connected components,
 found by distributed label propagation. A centre's text is replicated for every SALT members, so no task holds a large group.
 
 The samples' random numbers come from pools of 2**POOL_BITS entries, picked by hashes of shingle and sample; in a text of more shingles than that, shingles share
@@ -50,7 +51,7 @@ BROADCAST_ROWS = 1_000_000
 #: Draws for more samples, which only tests use.
 MORE = 384
 #: Groups of shingles, LANES to a long, whose weights are summed in units of 1 / UNITS, up to CAP each.
-LANES, UNITS, CAP = 7, 16, 127
+LANES, UNITS, CAP = 7, 32, 127
 GROUPS = 37 * LANES
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -198,23 +199,42 @@ def sketches(texts: DataFrame, idf) -> DataFrame:
     return texts.mapInArrow(run, "doc_id long, digest binary, size long, keys array<long>")
 
 
-def packed_sums(h: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, int, float]:
-    """The weights' sums by group of shingles, rounded up to units and packed; the units above CAP; the sum of all weights."""
-    units = np.ceil(np.bincount((h & np.uint64(0xFFFFFFFF)).astype(np.int64) % GROUPS, w.astype(np.float64), GROUPS) * UNITS).astype(np.int64)
+def packed_sums(h: np.ndarray, w: np.ndarray, alone: np.ndarray | None = None) -> tuple[np.ndarray, int, float]:
+    """The weights' sums by group of shingles, rounded up to units and packed; the units above CAP; the sum of all weights.
+
+    alone: hashes of shingles that no text to compare with has. They are in no common weight, so they count in the sum of all weights only.
+    """
+    common_w = w.astype(np.float64) if alone is None else np.where(np.isin(h, alone), 0.0, w)
+    units = np.ceil(np.bincount((h & np.uint64(0xFFFFFFFF)).astype(np.int64) % GROUPS, common_w, GROUPS) * UNITS).astype(np.int64)
     low = np.minimum(units, CAP)
     return (low.reshape(-1, LANES) << (8 * np.arange(LANES))).sum(1), int((units - low).sum()), float(w.sum(dtype=np.float64))
 
 
+def unshared(texts: DataFrame) -> DataFrame:
+    """id and alone, the hashes of the shingles that are in no other row of texts (doc_id, text)."""
+
+    def run(batches):
+        for b in batches:
+            got = [shingles(t.as_py())[0] for t in b.column(1)]
+            ids = np.repeat(np.asarray(b.column(0).to_pylist(), np.int64), [len(h) for h in got])
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.concatenate([np.zeros(0, np.uint64), *got]).view(np.int64))], ["id", "h"])
+
+    hashes = texts.select("doc_id", "text").mapInArrow(run, "id long, h long").groupBy("h").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n"))
+    return hashes.where("n = 1").groupBy("id").agg(F.collect_list("h").alias("alone"))
+
+
 def signatures(texts: DataFrame, wanted: DataFrame, idf) -> DataFrame:
-    """id and packed_sums of the texts whose doc_id is an id of wanted."""
+    """id and packed_sums, for comparisons with each other, of the texts whose doc_id is an id of wanted."""
 
     def run(batches):
         table = idf.value
         for b in batches:
-            got = [packed_sums(*weighted(t.as_py(), table)) for t in b.column(1)]
+            got = [packed_sums(*weighted(t.as_py(), table), np.asarray(x.as_py() or [], np.int64).view(np.uint64)) for t, x in zip(b.column(1), b.column(2), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.tolist() for x, _, _ in got], pa.list_(pa.int64())), pa.array([x for _, x, _ in got], pa.int64()), pa.array([x for _, _, x in got], pa.float64())], ["id", "sums", "over", "total"])
 
-    return texts.join(_small(wanted.select(F.col("id").alias("doc_id"))), "doc_id").select("doc_id", "text").mapInArrow(run, "id long, sums array<long>, over long, total double")
+    own = texts.join(_small(wanted.select(F.col("id").alias("doc_id"))), "doc_id").select("doc_id", "text")
+    alone = common.written(unshared(own), "neardup-alone")
+    return own.join(alone, own["doc_id"] == alone["id"], "left").select("doc_id", "text", "alone").mapInArrow(run, "id long, sums array<long>, over long, total double")
 
 
 def may_reach(similarity: float) -> str:
@@ -298,6 +318,18 @@ def _merged(rows: DataFrame, links: DataFrame) -> DataFrame:
     return common.written(common.looked_up(rows, found, "part", "in_part").drop("part", "in_part").withColumnRenamed("new", "part"), "neardup-parts")
 
 
+def centred(buckets: DataFrame) -> DataFrame:
+    """buckets (a written table of key, id, in_key) with each one's centre a and how well that fits: the text whose buckets have the most texts in all.
+
+    Near copies of one text differ from each other by the edits of both. The copy with the fewest edits shares the most buckets with the others and is like the most of them.
+    """
+    fits = common.written(buckets.groupBy("id").agg(F.sum("in_key").alias("fit")), "neardup-fits")
+    best = F.max(F.struct("fit", F.negative("id").alias("id")))
+    centres = buckets.join(fits, "id").groupBy("key").agg(best.alias("best"), F.count(F.lit(1)).alias("in_key"))
+    centres = common.written(centres.select("key", F.negative("best.id").alias("a"), "best.fit", "in_key"), "neardup-centres")
+    return common.written(common.looked_up(buckets.drop("in_key"), centres, "key", "in_key"), "neardup-buckets")
+
+
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, copy_of (the least doc_id with an equal text), class_id (the least doc_id of its class), class_size of every row."""
     spark = docs.sparkSession
@@ -309,13 +341,13 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     copies = common.written(copies.select("digest", F.col("copy_of").alias("id"), "first.size", "first.keys", "n"), "neardup-copies")
     sizes = copies.select("id", "size")
     rows = copies.select(F.explode("keys").alias("key"), "id")
-    shared = common.written(rows.groupBy("key").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("in_key")).where("in_key > 1"), "neardup-keys")
-    buckets = common.written(common.looked_up(rows, shared, "key", "in_key"), "neardup-buckets")
+    shared = common.written(rows.groupBy("key").agg(F.count(F.lit(1)).alias("in_key")).where("in_key > 1"), "neardup-keys")
+    buckets = centred(common.written(common.looked_up(rows, shared, "key", "in_key"), "neardup-shared"))
     parts = spark.createDataFrame([], "id long, part long")
     if not buckets.isEmpty():
         alike = F.col("similarity") >= similarity
         # a pair for each text first: with the least centre of its buckets
-        tried = buckets.groupBy("id").agg(F.min("a").alias("a")).where("id <> a").select("a", F.col("id").alias("b"), F.col("a").alias("part_a"), F.col("id").alias("part_b"))
+        tried = buckets.groupBy("id").agg(F.max_by("a", F.struct("fit", F.negative("a"))).alias("a")).where("id <> a").select("a", F.col("id").alias("b"), F.col("a").alias("part_a"), F.col("id").alias("part_b"))
         done = common.written(verified(texts, tried, sizes, idf), "neardup-done")
         first_parts = components(done.where(alike))
         parts = common.written(buckets.join(first_parts, "id", "left").withColumn("part", F.coalesce("label", "id")).drop("label"), "neardup-parts")

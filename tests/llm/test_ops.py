@@ -658,6 +658,44 @@ def test_near_dups_join_texts_once(spark, monkeypatch):
     assert sizes["neardup-edges"][-1] <= inner[0]
 
 
+def test_near_dups_compare_few_pairs_of_a_group(spark, monkeypatch):
+    """In a group of near copies, many of which are like no other, the pairs whose texts are compared follow its texts, not their square."""
+    rng = np.random.default_rng(8)
+    base = [f"b{k}" for k in range(200)]
+
+    def text(edits):
+        w = list(base)
+        for k in rng.choice(40, edits, replace=False):
+            w[5 * k] = f"e{rng.integers(10**12)}"
+        return " ".join(w)
+
+    rows = [(i, text((5, 6, 1, 5, 2, 6)[i % 6])) for i in range(240)]
+    docs = common.written(spark.createDataFrame(rows, "doc_id long, text string"), "group")
+    compared, real = [], neardup.verified
+    monkeypatch.setattr(neardup, "verified", lambda t, pairs, *more: (compared.append(pairs.count()), real(t, pairs, *more))[1])
+    got = {r["doc_id"]: r["class_id"] for r in neardup.classes(docs).collect()}
+    assert got == plain_classes(rows)
+    assert 2 < len(set(got.values())) < 200
+    assert sum(compared) <= 4 * len(rows), compared
+
+
+def test_unshared_shingles(spark):
+    """They are those of one row only, and leaving them out of the sums leaves out no pair that reaches the similarity."""
+    rows = [(1, "a b c d e f"), (2, "a b c d e g"), (3, ""), (3, None), (4, "a b c d e f"), (5, "x " * 20)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    hashes = {i: set(neardup.shingles(t)[0].view(np.int64).tolist()) for i, t in rows if t}
+    got = {r["id"]: set(r["alone"]) for r in neardup.unshared(docs).collect()}
+    assert got == {2: hashes[2] - hashes[1], 5: hashes[5]}
+    flat = np.ones(neardup.CELLS, np.float32)
+    a, b = (neardup.weighted(" ".join([*(f"s{k}" for k in range(60)), *(f"{z}{k}" for k in range(5))]), flat) for z in "uv")
+    alone = np.setxor1d(a[0], b[0])
+    (s, o, t), (s_b, o_b, t_b) = neardup.packed_sums(*a, alone), neardup.packed_sums(*b, alone)
+    assert t == neardup.packed_sums(*a)[2]
+    like = neardup.weighted_jaccard(a, b)
+    d = spark.createDataFrame([(s.tolist(), o, t, s_b.tolist(), o_b, t_b)], "sums array<long>, over long, total double, sums_b array<long>, over_b long, total_b double")
+    assert d.selectExpr(neardup.may_reach(like)).first()[0] and not d.selectExpr(neardup.may_reach(like + 0.01)).first()[0]
+
+
 def test_pipeline_bounds_arrow_batches(spark, given, tmp_path, monkeypatch):
     """Every stage sends texts to Python in batches of bounded bytes; the results are those of whole splits in one batch."""
     import corpus_pipeline as P
